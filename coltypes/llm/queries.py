@@ -10,16 +10,76 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from coltypes.llm import common, neardup
+from pyspark.sql import functions as F
+
+from coltypes.llm import common, decontam, langid, licenses, neardup, packing, quality, records, secrets, simhash
+
+#: Where the tokenizer files lie; a parameter of the operators, taken from the installed package.
+BYTES, WORDS = "byte_bpe_50k.json", "word_bpe_49k.json"
+
+
+def tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return str(public_tokenizers.path(name))
+
+
+def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return common.table(spark, sf_dir, "documents")
+
+
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(documents(spark, sf_dir))
+
+
+def op2_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labels of ids with crc32 mod 5 = 0 (and of null ids) are held out."""
+    docs = documents(spark, sf_dir)
+    model = quality.fit(docs, common.table(spark, sf_dir, "labels"), lambda i: common.id_remainder(i, 5) != 0)
+    held_out = F.coalesce(common.id_remainder(F.col("doc_id"), 5) == 0, F.lit(True))
+    return quality.score(docs, model).select("doc_id", held_out.alias("held_out"), "score", "predicted")
+
+
+def op4_binary_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    manifest = records.write(documents(spark, sf_dir), tokenizer(BYTES), 2, common.fresh_path(spark, "records"))
+    return records.read_back(manifest)
+
+
+def op5_greedy_tiling_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.find(documents(spark, sf_dir), common.table(spark, sf_dir, "benchmark"))
 
 
 def op6_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = common.table(spark, sf_dir, "documents")
-    return neardup.groups(docs, neardup.Settings(width=4, percent=80))
+    return neardup.groups(documents(spark, sf_dir), neardup.Settings(width=4, percent=80))
+
+
+def op7_kneser_ney_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents of ids with crc32 mod 4 = 2 (and of null ids) are held out."""
+    docs = documents(spark, sf_dir)
+    model = langid.fit(docs, lambda i: common.id_remainder(i, 4) != 2)
+    held_out = F.coalesce(common.id_remainder(F.col("doc_id"), 4) == 2, F.lit(True))
+    return langid.predict(docs, model).select("doc_id", held_out.alias("held_out"), "lang_pred", "score", "rejected")
+
+
+def op8_vector_bin_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(documents(spark, sf_dir), tokenizer(WORDS), 1)
+
+
+def op9_multipart_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.find(documents(spark, sf_dir))
+
+
+def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Contract columns, and the class of each document among fingerprints within the radius."""
+    compared, path = common.stored(simhash.compare_edited(documents(spark, sf_dir)), "simhash-rows")
+    prints = compared.select("doc_id", F.conv("fingerprint", 16, -10).cast("long").alias("fingerprint"))
+    classes = simhash.near_classes(prints).where("doc_id is not null").groupBy("doc_id").agg(F.min("class_id").alias("class_id"))
+    return compared.join(classes, "doc_id", "left")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op6_minhash_near_dedup,)}
+    ops = (op1_license_scan, op2_compression_quality, op4_binary_records, op5_greedy_tiling_decontamination, op6_minhash_near_dedup, op7_kneser_ney_language, op8_vector_bin_packing, op9_multipart_secrets, op10_simhash)
+    return {f.__name__: f for f in ops}
 
 
 def oracle_sql() -> dict[str, str]:
