@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from pyspark.sql import functions as F
 
-from coltypes.llm import common, decontam, langid, licenses, neardup, packing, quality, records, secrets, simhash
+from coltypes.llm import common, decontam, langid, licenses, neardup, packing, pii, quality, records, secrets, simhash
 
 #: Where the tokenizer files lie; a parameter of the operators, taken from the installed package.
 BYTES, WORDS = "byte_bpe_50k.json", "word_bpe_49k.json"
@@ -40,6 +40,10 @@ def op2_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, model).select("doc_id", held_out.alias("held_out"), "score", "predicted")
 
 
+def op3_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(documents(spark, sf_dir))
+
+
 def op4_binary_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     manifest = records.write(documents(spark, sf_dir), tokenizer(BYTES), 2, common.fresh_path(spark, "records"))
     return records.read_back(manifest)
@@ -78,7 +82,7 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    ops = (op1_license_scan, op2_compression_quality, op4_binary_records, op5_greedy_tiling_decontamination, op6_minhash_near_dedup, op7_kneser_ney_language, op8_vector_bin_packing, op9_multipart_secrets, op10_simhash)
+    ops = (op1_license_scan, op2_compression_quality, op3_feistel_pseudonyms, op4_binary_records, op5_greedy_tiling_decontamination, op6_minhash_near_dedup, op7_kneser_ney_language, op8_vector_bin_packing, op9_multipart_secrets, op10_simhash)
     return {f.__name__: f for f in ops}
 
 
