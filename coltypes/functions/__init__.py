@@ -1 +1 @@
-
+"""Column expressions and Python functions of the engine."""

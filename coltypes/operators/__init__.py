@@ -1 +1 @@
-
+"""Operators: profiles, vectors, clusters, samples, types, annotations, measures."""

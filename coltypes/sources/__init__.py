@@ -1 +1 @@
-
+"""Tables, collections of tables, and where results go."""

@@ -1 +1 @@
-
+"""Structured Streaming forms: live column profiles, drift, incremental annotation."""
