@@ -13,13 +13,14 @@ import json
 import os
 import re
 import unicodedata
+from itertools import chain
 
 import numpy as np
 import regex
 from tokenizers import Tokenizer
 
-#: Distinct pieces kept in a worker; beyond that the store starts anew.
-STORE = 300_000
+#: Distinct pieces kept in a worker; what is new beyond that is encoded each time it comes.
+STORE = 1_000_000
 _LIMIT = 0x250
 _OTHER = re.compile(f"[^\\x00-{chr(_LIMIT - 1)}]|\\u0130")
 
@@ -70,43 +71,93 @@ class Encoder:
 
     def _clear(self) -> None:
         self.place: dict[str, int] = {}
-        self.first, self.count = np.zeros(1024, np.int64), np.zeros(1024, np.int64)
+        self.first, self.count, self.pieces = np.zeros(1024, np.int64), np.zeros(1024, np.int32), 0
         self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
 
-    def _learn(self, new: list[str]) -> None:
-        for piece, got in zip(new, self.library.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            ids, at = got.ids, len(self.place)
-            if at == len(self.first):
-                self.first, self.count = np.resize(self.first, at * 2), np.resize(self.count, at * 2)
-            while self.used + len(ids) > len(self.ids):
-                self.ids = np.resize(self.ids, len(self.ids) * 2)
-            self.place[piece] = at
-            self.first[at], self.count[at] = self.used, len(ids)
-            self.ids[self.used : self.used + len(ids)] = ids
-            self.used += len(ids)
+    def _encoded(self, new: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of pieces one after another, and how many each has.
+
+        Pieces that stay apart in a joined text are encoded as one text, which spares an object for
+        each; that they did stay apart shows in the number of words the library counts.
+        """
+        text = (" " if self.kind == "words" else "").join(new)
+        got = self.library.encode(text, add_special_tokens=False)
+        word = np.array(got.word_ids, np.int64) if got.word_ids and None not in got.word_ids else np.zeros(0, np.int64)
+        if len(word) and word[-1] + 1 == len(new):
+            return np.array(got.ids, np.uint32), np.bincount(word, minlength=len(new))
+        each = [e.ids for e in self.library.encode_batch_fast(new, add_special_tokens=False)]
+        return np.array([i for ids in each for i in ids], np.uint32), np.array([len(ids) for ids in each], np.int64)
+
+    def _append(self, new: list[str], place: dict[str, int]) -> None:
+        alone = [] if self.kind == "words" else [p for p in new if not (p[0] == " " and p[1:].isalpha())]
+        apart = set(alone)
+        for some in ([p for p in new if p not in apart], *([p] for p in alone)):
+            if not some:
+                continue
+            ids, counts = self._encoded(some)
+            need, n = self.used + len(ids), self.pieces + len(some)
+            if n > len(self.first):
+                self.first, self.count = (np.concatenate([x, np.zeros(n, x.dtype)]) for x in (self.first, self.count))
+            if need > len(self.ids):
+                self.ids = np.concatenate([self.ids, np.zeros(need, np.uint32)])
+            self.count[self.pieces : n] = counts
+            self.first[self.pieces : n] = self.used + np.cumsum(counts) - counts
+            self.ids[self.used : need] = ids
+            place.update(zip(some, range(self.pieces, n), strict=True))
+            self.used, self.pieces = need, n
 
     def encode(self, text: str) -> np.ndarray:
         """The ids of a whole text, as unsigned 32-bit integers."""
-        if self.cut is None or _OTHER.search(text):
-            return np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
-        if self.kind == "words":
-            text = unicodedata.normalize("NFC", text).lower()
-        found = self.cut.findall(text)
-        place = self.place
-        at = list(map(place.get, found))
-        if None in at:
-            new = list(dict.fromkeys(p for p, k in zip(found, at, strict=True) if k is None))
-            if len(place) + len(new) > STORE:
-                self._clear()
-                place, new = self.place, list(dict.fromkeys(found))
-            self._learn(new)
-            at = list(map(place.__getitem__, found))
-        which = np.array(at, np.int64)
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[str]) -> list[np.ndarray]:
+        """The ids of each of some whole texts; their new pieces are learned together."""
+        out: list[np.ndarray | None] = [None] * len(texts)
+        rows, found = [], []
+        for k, text in enumerate(texts):
+            plain = text.isascii() or _latin(text)
+            if self.cut is None or not plain and _OTHER.search(text):
+                out[k] = np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
+                continue
+            if self.kind == "words":  # characters below U+0100 are composed already
+                text = (text if plain else unicodedata.normalize("NFC", text)).lower()
+            rows.append(k)
+            found.append(self.cut.findall(text))
+        for k, ids in zip(rows, self._looked_up(found), strict=True):
+            out[k] = ids
+        return out
+
+    def _looked_up(self, found: list[list[str]]) -> list[np.ndarray]:
+        sizes = np.array([len(f) for f in found], np.int64)
+        flat = list(chain.from_iterable(found))
+        at = np.array(list(map(self.place.get, flat)), np.float64)  # None becomes nan
+        missing, mark = np.flatnonzero(np.isnan(at)).tolist(), None
+        if missing:
+            new = list(dict.fromkeys([flat[k] for k in missing]))
+            place = self.place
+            if self.pieces + len(new) > STORE:
+                place, mark = {}, (self.pieces, self.used)
+            self._append(new, place)
+            at[missing] = [place[flat[k]] for k in missing]
+        which = at.astype(np.int64)
         counts = self.count[which]
-        total = int(counts.sum())
-        ends = np.cumsum(counts)
-        spots = np.repeat(self.first[which] - ends + counts, counts) + np.arange(total)
-        return self.ids[spots]
+        ends = np.concatenate([[0], np.cumsum(counts, dtype=np.int64)])
+        spots = np.arange(int(ends[-1]))
+        spots += np.repeat(self.first[which] - ends[:-1], counts)
+        ids = self.ids[spots]
+        if mark:
+            self.pieces, self.used = mark
+        cuts = ends[np.concatenate([[0], np.cumsum(sizes)])].tolist()
+        return [ids[x:y] for x, y in zip(cuts, cuts[1:], strict=False)]
+
+
+def _latin(text: str) -> bool:
+    """All characters below U+0100; found at the speed of a copy."""
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
 
 
 _READY: dict[str, Encoder] = {}

@@ -155,10 +155,10 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, settings: Setti
             columns = list(zip(*rows, strict=True)) or [()] * 7
             return pa.record_batch([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-        for batch in batches:
+        for batch in (piece for whole in batches for piece in common.pieces(whole, "text", 1 << 20)):
             placed = []
-            for doc_id, text in zip(batch.column("doc_id").to_pylist(), common.texts_of(batch.column("text")), strict=True):
-                ids = np.append(encoder.encode(text), np.uint32(end_id)).astype("<u4")
+            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), encoder.encode_all(common.texts_of(batch.column("text"))), strict=True):
+                ids = np.append(ids, np.uint32(end_id)).astype("<u4")
                 held[serial] = [doc_id, ids, len(ids)]
                 placed += packer.add(serial, len(ids), len(ids))
                 serial += 1

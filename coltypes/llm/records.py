@@ -184,8 +184,8 @@ def write(docs: DataFrame, tokenizer: str, end_id: int, folder: str, files: int
         n_docs = n_tokens = at = 0
         with store.open_output_stream(f"{base}/.{data}.{attempt}") as out, store.open_output_stream(f"{base}/.{offsets}.{attempt}") as index:
             for whole in batches:
-                for batch in common.pieces(whole, "text"):
-                    ids = [np.append(encoder.encode(t), np.uint32(end_id)) for t in common.texts_of(batch.column("text"))]
+                for batch in common.pieces(whole, "text", 1 << 20):
+                    ids = [np.append(x, np.uint32(end_id)) for x in encoder.encode_all(common.texts_of(batch.column("text")))]
                     made = frames([payload(i, x, width) for i, x in zip(batch.column("doc_id").to_pylist(), ids, strict=True)])
                     entries = np.zeros((len(made), 4), "<u8")
                     for j, (frame, x) in enumerate(zip(made, ids, strict=True)):
