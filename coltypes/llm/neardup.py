@@ -6,12 +6,10 @@ linked with nothing). Two texts are linked when ``100 * |A and B| >= percent * |
 of one connected component form a group, named by its smallest doc_id.
 
 How. Texts with equal sets collapse to one key. Each key has a MinHash signature, cut into bands;
-keys that share a band are candidates. Buckets are never expanded into all pairs: a round compares
-every member of a bucket with one hub only, joins what is linked, and retires the hub; members that
-are already connected need no further comparison. When what is left is linear in the input, all its
-pairs between components are compared, so no link is lost to the rounds. A pair's signatures are
-compared batch by batch and the pair is dropped once the posterior probability of the similarity
-falls below ``miss``; survivors are confirmed on their full sets.
+keys that share a band are candidates, compared with hubs and in blocks (see ``linkage``) so that no
+bucket is expanded into rows of pairs. Two signatures are compared batch by batch and the pair is
+dropped once the posterior probability of the similarity falls below ``miss``; survivors are
+confirmed on their full sets.
 
 Defined cases: null text counts as empty; a row with a null doc_id links with nothing and stays;
 rows that repeat a doc_id are judged each by its own text; other columns are not read.
@@ -21,6 +19,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 from hashlib import blake2b
 
 import numpy as np
@@ -29,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coltypes.llm import common, wordhash
+from coltypes.llm.linkage import Tables, classes
 
 
 @dataclass(frozen=True)
@@ -44,8 +44,9 @@ class Settings:
     rows: int = 8
     batch: int = 32
     miss: float = 1e-6
-    #: pairs to a key, below which what is left is compared without further hub rounds
-    spread: int = 4
+    #: keys and shingles in one block of a unit
+    block_keys: int = 256
+    block_shingles: int = 1 << 17
 
     @property
     def size(self) -> int:
@@ -55,6 +56,7 @@ class Settings:
 SKETCH = "doc_id long, n_shingles long, key long, signature binary, bands array<long>"
 
 
+@lru_cache(maxsize=4)
 def _family(size: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(977)
     a = rng.integers(0, 1 << 32, size, dtype=np.uint64).astype(np.uint32) | np.uint32(1)
@@ -109,6 +111,7 @@ def _sketcher(s: Settings):
     return run
 
 
+@lru_cache(maxsize=4)
 def least_matches(s: Settings) -> np.ndarray:
     """For 1, 2, ... batches: the fewest equal positions at which the posterior of similarity >= percent is above ``miss``.
 
@@ -126,23 +129,16 @@ def least_matches(s: Settings) -> np.ndarray:
     return np.array(out)
 
 
-def _pruner(s: Settings):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        least = least_matches(s)
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            one, two = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, s.size) for c in ("sa", "sb"))
-            alive, found = np.arange(batch.num_rows), np.zeros(batch.num_rows, np.int64)
-            for k, need in enumerate(least):
-                at = slice(k * s.batch, (k + 1) * s.batch)
-                found[alive] += (one[alive, at] == two[alive, at]).sum(axis=1)
-                alive = alive[found[alive] >= need]
-                if not len(alive):
-                    break
-            yield pa.record_batch([batch.column("a").take(pa.array(alive)), batch.column("b").take(pa.array(alive))], ["a", "b"])
-
-    return run
+def survivors(one: np.ndarray, two: np.ndarray, least: np.ndarray, batch: int) -> np.ndarray:
+    """Rows of two signature tables whose pair stays likely through all batches."""
+    alive, found = np.arange(len(one)), np.zeros(len(one), np.int64)
+    for k, need in enumerate(least):
+        at = slice(k * batch, (k + 1) * batch)
+        found[alive] += (one[alive, at] == two[alive, at]).sum(axis=1)
+        alive = alive[found[alive] >= need]
+        if not len(alive):
+            break
+    return alive
 
 
 def _set_writer(s: Settings):
@@ -155,15 +151,93 @@ def _set_writer(s: Settings):
     return run
 
 
+def _linked(one: np.ndarray, two: np.ndarray, percent: int) -> bool:
+    if 100 * min(len(one), len(two)) < percent * max(len(one), len(two)):
+        return False
+    both = len(np.intersect1d(one, two, assume_unique=True))
+    return 100 * both >= percent * (len(one) + len(two) - both)
+
+
+def _signatures(column: pa.Array, size: int) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, size)
+
+
 def _confirmer(s: Settings):
+    """Pairs (a, b) with both signatures and sets -> those that are linked."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        least = least_matches(s)
         for batch in batches:
-            keep = []
-            for x, y in zip(batch.column("ma"), batch.column("mb"), strict=True):
-                one, two = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                both = len(np.intersect1d(one, two, assume_unique=True))
-                keep.append(100 * both >= s.percent * (len(one) + len(two) - both))
-            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+            if not batch.num_rows:
+                continue
+            likely = survivors(_signatures(batch.column("sa"), s.size), _signatures(batch.column("sb"), s.size), least, s.batch)
+            rows = [k for k in likely.tolist() if _linked(*(np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in ("ma", "mb")), s.percent)]
+            yield batch.select(["a", "b"]).take(pa.array(rows, pa.int64()))
+
+    return run
+
+
+def overlaps(sets: list[np.ndarray], columns: int = 4096) -> np.ndarray:
+    """Sizes of all intersections of some sets, by products of their incidence matrix in strips."""
+    who = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    _, which, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    shared = counts > 1
+    place = np.cumsum(shared) - 1
+    keep = shared[which]
+    who, which = who[keep], place[which[keep]]
+    order = np.argsort(which, kind="stable")
+    who, which = who[order], which[order]
+    total = np.zeros((len(sets), len(sets)), np.float32)
+    for low in range(0, int(shared.sum()), columns):
+        at = slice(*np.searchsorted(which, [low, low + columns]))
+        strip = np.zeros((len(sets), columns), np.float32)
+        strip[who[at], which[at] - low] = 1
+        total += strip @ strip.T
+    return total.astype(np.int64)
+
+
+def spanning(sets: list[np.ndarray], signatures: np.ndarray, parts: np.ndarray, s: Settings, least: np.ndarray) -> list[tuple[int, int]]:
+    """Linked pairs that join all that is linked between the parts of a unit, one pair for each join."""
+    n = len(sets)
+    sizes = np.array([len(x) for x in sets])
+    i, j = np.triu_indices(n, 1)
+    fit = (parts[i] != parts[j]) & (100 * np.minimum(sizes[i], sizes[j]) >= s.percent * np.maximum(sizes[i], sizes[j]))
+    i, j = i[fit], j[fit]
+    out = [np.zeros(0, np.int64)]
+    for at in range(0, len(i), 8192):
+        out.append(at + survivors(signatures[i[at : at + 8192]], signatures[j[at : at + 8192]], least, s.batch))
+    likely = np.concatenate(out)
+    i, j = i[likely], j[likely]
+    if len(i) > 4 * n:
+        both = overlaps(sets)[i, j]
+    else:
+        both = np.array([len(np.intersect1d(sets[x], sets[y], assume_unique=True)) for x, y in zip(i, j, strict=True)], np.int64)
+    sure = 100 * both >= s.percent * (sizes[i] + sizes[j] - both) if len(i) else np.zeros(0, bool)
+    root: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while root.get(x, x) != x:
+            root[x] = root.get(root[x], root[x])
+            x = root[x]
+        return x
+
+    joined = []
+    for x, y in zip(i[sure].tolist(), j[sure].tolist(), strict=True):
+        p, q = top(int(parts[x])), top(int(parts[y]))
+        if p != q:
+            root[max(p, q)] = min(p, q)
+            joined.append((x, y))
+    return joined
+
+
+def _unit(s: Settings):
+    def run(group: pa.Table) -> pa.Table:
+        group = group.combine_chunks()
+        keys = group.column("key").to_pylist()
+        sets = [np.frombuffer(m, np.uint64) for m in group.column("members").to_pylist()]
+        signatures = np.frombuffer(b"".join(group.column("signature").to_pylist()), np.uint8).reshape(-1, s.size)
+        found = spanning(sets, signatures, group.column("part").to_numpy(), s, least_matches(s))
+        pairs = [(min(keys[x], keys[y]), max(keys[x], keys[y])) for x, y in found]
+        return pa.table({"a": pa.array([p[0] for p in pairs], pa.int64()), "b": pa.array([p[1] for p in pairs], pa.int64())})
 
     return run
 
@@ -172,14 +246,12 @@ class _Search:
     """The tables of one run."""
 
     def __init__(self, docs: DataFrame, s: Settings):
-        self.spark, self.s, self.paths = common.prepare(docs.sparkSession), s, []
+        self.spark, self.s, self.tables = common.prepare(docs.sparkSession), s, Tables("near")
         self.docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
         self.sketch = self.keep(self.docs.mapInArrow(_sketcher(s), SKETCH), "sketch")
 
     def keep(self, df: DataFrame, tag: str) -> DataFrame:
-        out, path = common.stored(df, f"near-{tag}")
-        self.paths.append(path)
-        return out
+        return self.tables.keep(df, tag)
 
     def buckets(self) -> DataFrame:
         """(band, key, n) of all bands that hold two texts of possible lengths at least."""
@@ -187,64 +259,34 @@ class _Search:
         shared = rows.groupBy("band").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("band")
         return self.keep(rows.join(shared, "band").distinct(), "buckets")
 
-    def linked(self, pairs: DataFrame) -> DataFrame:
-        """Those of the pairs (a, b) that are linked: signatures first, then full sets."""
-        ends = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-        signatures = self.sketch.where("doc_id is not null").select("key", "signature").join(ends, "key", "left_semi").dropDuplicates(["key"])
-        left, right = (signatures.select(F.col("key").alias(k), F.col("signature").alias(f"s{k}")) for k in "ab")
-        likely = self.keep(pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(_pruner(self.s), "a long, b long"), "likely")
-        ends = likely.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-        owners = self.sketch.where("doc_id is not null").select("key", "doc_id").join(ends, "key", "left_semi").groupBy("key").agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
-        sets = self.keep(self.docs.join(owners, "doc_id", "left_semi").mapInArrow(_set_writer(self.s), "key long, members binary").where("key is not null").dropDuplicates(["key"]), "sets")
-        left, right = (sets.select(F.col("key").alias(k), F.col("members").alias(f"m{k}")) for k in "ab")
-        return self.keep(likely.join(left, "a").join(right, "b").select("a", "b", "ma", "mb").mapInArrow(_confirmer(self.s), "a long, b long"), "links")
-
-    def components(self, links: DataFrame) -> DataFrame:
-        """(key, part): the smallest key reachable, for the keys that have a link."""
-        both = links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
-        both = self.keep(both, "graph")
-        part = self.keep(both.groupBy(F.col("a").alias("key")).agg(F.least(F.min("b"), F.first("a")).alias("part")), "part")
-        while True:
-            near = both.join(part, both["b"] == part["key"]).groupBy(F.col("a").alias("key")).agg(F.min("part").alias("near"))
-            best = part.join(near, "key").select("key", "part", F.least("part", "near").alias("best"))
-            jump = part.select(F.col("key").alias("best"), F.col("part").alias("far"))
-            after = self.keep(best.join(jump, "best").select("key", F.least("best", "far").alias("part"), (F.least("best", "far") < F.col("part")).cast("long").alias("moved")), "part")
-            moved = after.agg(F.sum("moved")).first()[0] or 0
-            part = after.select("key", "part")
-            if not moved:
-                return part
+    def full(self, buckets: DataFrame) -> DataFrame:
+        """(key, signature, members) of all keys that are candidates."""
+        keys = buckets.select("key").distinct()
+        owned = self.sketch.where("doc_id is not null").select("key", "doc_id", "signature").join(keys, "key", "left_semi")
+        owned = self.keep(owned.groupBy("key").agg(F.min(F.struct("doc_id", "signature")).alias("o")).select("key", "o.*"), "owners")
+        texts = self.docs.join(owned.select("doc_id").distinct(), "doc_id", "left_semi")
+        sets = texts.mapInArrow(_set_writer(self.s), "key long, members binary").where("key is not null").dropDuplicates(["key"])
+        return self.keep(sets.join(owned.select("key", "signature"), "key"), "sets")
+
+    def classes(self) -> DataFrame | None:
+        s, buckets = self.s, self.buckets()
+        full = self.full(buckets)
+
+        def hub_links(pairs: DataFrame) -> DataFrame:
+            left, right = (full.select(F.col("key").alias(k), F.col("signature").alias(f"s{k}"), F.col("members").alias(f"m{k}")) for k in "ab")
+            return self.keep(pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb", "ma", "mb").mapInArrow(_confirmer(s), "a long, b long"), "links")
+
+        def unit_links(rows: DataFrame) -> DataFrame:
+            return self.keep(rows.join(full, "key").groupBy("unit").applyInArrow(_unit(s), "a long, b long").distinct(), "unit-links")
+
+        possible = f"100 * least(x.n, y.n) >= {s.percent} * greatest(x.n, y.n)"
+        return classes(buckets, hub_links, unit_links, self.tables, s.block_keys, s.block_shingles, possible)
 
 
 def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept (doc_id = component_id; a null doc_id stays)."""
     run = _Search(docs, settings)
-    buckets = run.buckets()
-    allowed = run.sketch.count() * settings.spread + 1000
-    links = part = None
-    live = buckets.withColumn("part", F.col("key"))
-    while True:
-        size = live.groupBy("band", "part").agg(F.count("*").alias("c")).groupBy("band").agg((F.sum("c") * F.sum("c") - F.sum(F.col("c") * F.col("c"))).alias("twice"), F.count("*").alias("parts")).where("parts > 1")
-        size = run.keep(size, "open")
-        left = (size.agg(F.sum("twice")).first()[0] or 0) // 2
-        if left == 0:
-            break
-        live = run.keep(live.join(size.select("band"), "band", "left_semi"), "live")
-        x, y = live.alias("x"), live.alias("y")
-        possible = F.expr(f"100 * least(x.n, y.n) >= {settings.percent} * greatest(x.n, y.n)")
-        last = links is not None and left <= allowed
-        if last:
-            pairs = x.join(y, F.expr("x.band = y.band and x.key < y.key and x.part <> y.part") & possible)
-        else:
-            hubs = live.groupBy("band").agg(F.min(F.struct("key", "n", "part")).alias("hub")).select("band", "hub.*")
-            pairs = x.join(hubs.alias("y"), F.expr("x.band = y.band and x.key <> y.key and x.part <> y.part") & possible)
-            live = live.join(hubs.select("band", "key"), ["band", "key"], "left_anti")
-        pairs = run.keep(pairs.select(F.least("x.key", "y.key").alias("a"), F.greatest("x.key", "y.key").alias("b")).distinct(), "pairs")
-        more = run.linked(pairs)
-        links = more if links is None else run.keep(links.union(more).distinct(), "all-links")
-        part = run.components(links)
-        if last:
-            break
-        live = run.keep(live.drop("part").join(part, "key", "left").withColumn("part", F.coalesce("part", "key")), "live")
+    part = run.classes()
     keyed = run.sketch.where("doc_id is not null and key is not null").groupBy("key").agg(F.min("doc_id").alias("least"))
     if part is None:
         roots = keyed.select("key", F.col("least").alias("root"))
@@ -255,7 +297,7 @@ def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     component = F.coalesce(F.when(F.col("doc_id").isNotNull(), F.col("root")), F.col("doc_id"))
     out = rows.join(roots, "key", "left").select("doc_id", "n_shingles", component.alias("component_id"))
     out = common.stored(out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))), "near-result")[0]
-    common.remove(run.spark, *run.paths)
+    run.tables.drop(out)
     return out
 
 
