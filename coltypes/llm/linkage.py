@@ -2,7 +2,7 @@
 
 A bucket holds keys that may be linked. First every key of a bucket is compared with one hub of it,
 the smallest key; what is linked joins into parts. Pairs that matter after that are those between
-parts. For them each key goes to the cell of the smallest hub it meets, cells are cut into blocks of
+parts. For them each key goes to the cell of the smallest hub that it or a key of its buckets meets, cells are cut into blocks of
 bounded size, and two blocks are compared as one unit of work, in memory, if their cells share a
 bucket and they do not lie in one part already. A unit returns only the links that join parts of
 its own, so the rows made stay linear in the keys of a block, and every pair that shares a bucket
@@ -64,7 +64,10 @@ def cells(live: DataFrame, hubs: DataFrame, sizes: DataFrame, tables: Tables, mo
     ``live``: (band, key, part); ``hubs``: (band, hub); ``sizes``: (key, n). A block holds about
     ``most_keys`` keys of total size ``most_size``.
     """
-    homes = tables.keep(live.select("band", "key", "part").join(hubs, "band").groupBy("key", "part").agg(F.min("hub").alias("home")), "homes")
+    keyed = live.select("band", "key", "part")
+    near = keyed.join(hubs, "band").groupBy("key").agg(F.min("hub").alias("home"))
+    wider = keyed.join(near, "key").groupBy("band").agg(F.min("home").alias("hub"))
+    homes = tables.keep(keyed.join(wider, "band").groupBy("key", "part").agg(F.min("hub").alias("home")), "homes")
     seen = live.select("band", "key").join(homes, "key").groupBy("band", "home").agg(F.min("part").alias("lo"), F.max("part").alias("hi"))
     seen = tables.keep(seen, "seen")
     apart = "not (x.lo = x.hi and y.lo = y.hi and x.lo = y.lo)"

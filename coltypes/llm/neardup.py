@@ -264,7 +264,7 @@ class _Search:
         keys = buckets.select("key").distinct()
         owned = self.sketch.where("doc_id is not null").select("key", "doc_id", "signature").join(keys, "key", "left_semi")
         owned = self.keep(owned.groupBy("key").agg(F.min(F.struct("doc_id", "signature")).alias("o")).select("key", "o.*"), "owners")
-        texts = self.docs.join(owned.select("doc_id").distinct(), "doc_id", "left_semi")
+        texts = self.docs.join(owned.select("doc_id").distinct().hint("merge"), "doc_id", "left_semi")
         sets = texts.mapInArrow(_set_writer(self.s), "key long, members binary").where("key is not null").dropDuplicates(["key"])
         return self.keep(sets.join(owned.select("key", "signature"), "key"), "sets")
 
