@@ -116,13 +116,14 @@ class Encoder:
         rows, found = [], []
         for k, text in enumerate(texts):
             plain = text.isascii() or _latin(text)
-            if self.cut is None or not plain and _OTHER.search(text):
+            small = text
+            if self.kind == "words":  # characters below U+0100 are composed already
+                small = (text if plain else unicodedata.normalize("NFC", text)).lower()
+            if self.cut is None or not plain and (_OTHER.search(text) or _OTHER.search(small)):
                 out[k] = np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
                 continue
-            if self.kind == "words":  # characters below U+0100 are composed already
-                text = (text if plain else unicodedata.normalize("NFC", text)).lower()
             rows.append(k)
-            found.append(self.cut.findall(text))
+            found.append(self.cut.findall(small))
         for k, ids in zip(rows, self._looked_up(found), strict=True):
             out[k] = ids
         return out
