@@ -11,6 +11,7 @@ from coltypes.operators import annotate, discover, profile, seeds, valueindex
 from coltypes.operators.discover import DiscoverConfig
 from coltypes.operators.models import RuleModel, TypeModel
 from coltypes.operators.state import ANNOTATIONS, CALLS, keep, none
+from coltypes.shipping import ship
 from coltypes.sources.collection import Collection
 
 
@@ -36,6 +37,7 @@ class Prepared:
     """What all levels share: distinct values and similarity pairs at the lowest threshold, each made once."""
 
     def __init__(self, collection: Collection, config: CascadeConfig = CascadeConfig()):
+        ship(collection.columns.sparkSession)
         self.collection, self.config = collection, config
         self.columns = keep(collection.columns)
         cells = collection.cells
