@@ -9,13 +9,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from coltypes.shipping import ship
+
 #: Rows and bytes in one Arrow batch sent to a Python worker; what a worker holds at once follows from it.
 BATCH_ROWS = 2000
 BATCH_BYTES = 8 << 20
 
 
 def prepare(spark: SparkSession) -> SparkSession:
-    """Bound the Arrow batches of this session (runtime settings; smaller ones stay)."""
+    """Bound the Arrow batches of this session (runtime settings; smaller ones stay), and let its workers import this package."""
+    ship(spark)
     for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
         now = spark.conf.get(key, None)
         if now is None or not str(now).isdigit() or not 0 < int(now) <= most:
