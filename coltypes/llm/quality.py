@@ -33,11 +33,11 @@ from coltypes.llm import common
 class Settings:
     per_label: int = 6000
     block: int = 512
-    blocks_per_text: int = 4
-    dictionary_bytes: int = 64 << 10
+    blocks_per_text: int = 8
+    dictionary_bytes: int = 112 << 10
     level: int = 1
     threshold: float = 0.3
-    ridge: float = 1e-3
+    ridge: float = 1e-4
 
 
 @dataclass
@@ -152,7 +152,10 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Callable[[Column], Column] =
         x = _basis(rows[["raw", "good", "bad"]].to_numpy())
         shift, scale = x.mean(axis=0), x.std(axis=0) + 1e-9
         shift[0], scale[0] = 0, 1
-        model.weights, model.shift, model.scale = _logistic((x - shift) / scale, y, s.ridge).tolist(), shift.tolist(), scale.tolist()
+        weights = _logistic((x - shift) / scale, y, s.ridge)
+        # the sample holds the labels in other shares than all labelled documents do
+        weights[0] += np.log(prior / (1 - prior)) - np.log(y.mean() / (1 - y.mean()))
+        model.weights, model.shift, model.scale = weights.tolist(), shift.tolist(), scale.tolist()
     return model
 
 
