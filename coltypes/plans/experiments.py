@@ -8,12 +8,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coltypes.operators import annotate, baselines, cascade, downstream, judge, metrics, sampling
+from coltypes.functions import sqlapi
+from coltypes.operators import annotate, baselines, cascade, communities, discover, downstream, embed, judge, metrics, neighbors, profile, sampling
 from coltypes.operators.cascade import CascadeConfig, Prepared, Result
 from coltypes.operators.discover import DiscoverConfig
 from coltypes.operators.models import RuleModel
 from coltypes.operators.state import keep
 from coltypes.sources import collection as C
+from coltypes.sources import tables
+from coltypes.streaming import live
 
 METHODS = ("plain", "plain+reuse", "guided", "guided+reuse", "cascade")
 COLLECTIONS = ("OPS", "TXT", "MIXED")
@@ -117,16 +120,95 @@ def exp_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def exp_multitype(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Precision, recall and F1 on the columns of mixed types."""
+    """Precision, recall and F1 on the columns of mixed types: on all of them, and on those that the cascade typed."""
     p, rows = prepared(spark, sf_dir, "MIXED"), []
     mixed = p.columns.where("base_table = 'multi'")
-    truth = _truth(p).join(mixed.select("column_id"), "column_id", "left_semi")
-    for m in ("guided", "cascade", "complete"):
-        a = metrics.restrict(_by_meaning(result(spark, sf_dir, "MIXED", m).annotations), mixed)
-        rows.append(metrics.rounded(metrics.prf(metrics.confusion(a, truth))).select(F.lit(m).alias("method"), "*"))
+    typed = mixed.join(result(spark, sf_dir, "MIXED", "cascade").annotations.select("column_id").distinct(), "column_id", "left_semi")
+    for scope, ids in (("all", mixed), ("typed by the cascade", typed)):
+        truth = metrics.restrict(_truth(p), ids)
+        for m in ("guided", "cascade", "complete"):
+            a = metrics.restrict(_by_meaning(result(spark, sf_dir, "MIXED", m).annotations), ids)
+            rows.append(metrics.rounded(metrics.prf(metrics.confusion(a, truth))).select(F.lit(scope).alias("scope"), F.lit(m).alias("method"), "*"))
     return _all(rows)
 
 
+def intro_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Columns of differing headers that mix two kinds of values, taken as one cluster and typed by one call."""
+    built = C.build(spark, sf_dir, "MULTI")
+    wanted = built.columns.where("column_id in ('multi_01.location', 'multi_02.loc')")
+    cells = built.cells.join(wanted.select("column_id"), "column_id", "left_semi")
+    members = wanted.select("column_id", F.lit("example").alias("seed_cluster"))
+    got = discover.run(members, wanted, profile.column_values(cells))
+    return annotate.propagate(got.types, members, "discovery", 0.75).select("column_id", "label")
+
+
+def cascade_example(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Six columns, levels 0.99, 0.9 and 0.75: a pair found at once, one that fits its siblings, one that does not, one that never joins."""
+    rows = [("t1.brand", "t1", "p_brand", "Brand#%d"), ("t2.brand", "t2", "Brand", "Brand#%d"), ("t3.brands", "t3", "brandes", "Brand#%d"), ("t4.brandx", "t4", "brandz", "NATION_%d"), ("t5.qqq", "t5", "qqq", "zz %d zz")]
+    columns = spark.createDataFrame([(i, t, h, 0, "text", t, h, "") for i, t, h, _ in rows], C.CATALOG)
+    cells = spark.createDataFrame([(i, "text", pattern % n, None) for i, _, _, pattern in rows for n in range(1, 9)], "column_id string, kind string, value string, num double")
+    r = cascade.run(C.Collection("EXAMPLE", columns, cells), CascadeConfig((0.99, 0.75, 0.3)))
+    return r.annotations.select("column_id", "label", "phase", "threshold")
+
+
+def embedding_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Communities of the given vectors at cosine 0.3."""
+    v = tables.table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("string").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("vec"))
+    nodes = v.select("id", F.lit(1).alias("weight"), F.lpad("id", 12, "0").alias("first"))
+    return communities.detect(nodes, neighbors.block(v, 0.3))
+
+
+def header_pairs_lsh(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Header pairs by random projections, checked exactly."""
+    v = embed.headers(C.base_collection(spark, sf_dir).columns).withColumnRenamed("header_key", "id")
+    return metrics.rounded(neighbors.lsh(v, 0.4, 16, 1.0))
+
+
+def single_view_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sizes of name-only, value-only and seed clusters at three levels, on OPS."""
+    p, rows = prepared(spark, sf_dir, "OPS"), []
+    for tau in (0.99, 0.9, 0.75):
+        for view in ("name", "value", "seed"):
+            c = p.level(tau).where(f"{view}_cluster is not null")
+            rows.append(c.agg(F.countDistinct(f"{view}_cluster").alias("n_clusters"), F.count("*").alias("n_columns")).select(F.lit(tau).alias("tau"), F.lit(view).alias("view"), "*"))
+    return _all(rows)
+
+
+def rest_annotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the pass over columns outside seed clusters added, by threshold and source, on OPS."""
+    a = result(spark, sf_dir, "OPS", "cascade").annotations.where("phase = 'rest'")
+    return a.groupBy("threshold", "source").agg(F.countDistinct("column_id").alias("n_columns"), F.countDistinct("label").alias("n_types"))
+
+
+def all_collection_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tables, columns and rows of the three collections."""
+    rows = []
+    for c in COLLECTIONS:
+        p = prepared(spark, sf_dir, c)
+        n = p.values.groupBy("column_id").agg(F.sum("n").alias("n")).join(p.columns, "column_id").groupBy("table_id").agg(F.max("n").alias("n_rows"))
+        rows.append(metrics.collection_stats(p.columns, n).select(F.lit(c).alias("collection"), "*"))
+    return _all(rows)
+
+
+def stream_value_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The value index kept as state, over documents' languages arriving as a stream with their type."""
+    import uuid
+
+    schema = tables.table(spark, sf_dir, "documents").schema
+    docs = spark.readStream.schema(schema).parquet(f"{sf_dir}/documents.parquet*")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    name = f"index_{uuid.uuid4().hex[:8]}"
+    q = live.value_index(docs.select(F.col("lang").alias("value"), F.lit("Language Code").alias("label"))).writeStream.outputMode("update").format("memory").queryName(name).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.table(name)
+
+
+def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The SQL entry: sample and type the nation names in one statement."""
+    sqlapi.register(spark, {"nation_view": tables.table(spark, sf_dir, "nation")})
+    return spark.sql("select t.header, t.label, estimated_tokens(t.label) n_tokens from (select collect_set(n_name) v from nation_view) s, lateral discover_types('n_name', s.v, 'text') t")
+
+
 def _pair_task(spark: SparkSession, sf_dir: str, name: str, task: str, most: int) -> DataFrame:
     p = prepared(spark, sf_dir, name)
     pairs = keep(downstream.truth_pairs(p.columns, p.values, task, most))
@@ -238,13 +320,11 @@ def stream_incremental_annotation(spark: SparkSession, sf_dir: str) -> DataFrame
     import tempfile
 
     from coltypes.operators import valueindex
-    from coltypes.sources.tables import table
-    from coltypes.streaming import live
 
     p = prepared(spark, sf_dir, "TXT")
     types = result(spark, sf_dir, "TXT", "cascade").annotations.select("column_id", "label")
     index = keep(valueindex.extend(None, p.values.where("kind = 'text'"), types, "column_id"))
-    schema = table(spark, sf_dir, "documents").schema
+    schema = tables.table(spark, sf_dir, "documents").schema
     folder = (spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="coltypes-")).rstrip("/")
     base = f"{folder}/stream-{F.__name__}-{spark.sparkContext.applicationId}-{id(index)}"
     docs = spark.readStream.schema(schema).option("pathGlobFilter", "documents*").parquet(f"{sf_dir}/documents.parquet*")

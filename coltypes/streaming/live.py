@@ -43,30 +43,35 @@ def histogram_drift(batch: DataFrame, stored: list[float], mean: float, deviatio
     return counts.groupBy("window").agg((dot / (F.sqrt(F.sum(F.col("c") * F.col("c"))) * norm)).alias("similarity"))
 
 
-class ValueTypes(StatefulProcessor):
-    """For each value hash the labels seen so far; a value without labels is passed on as open."""
+def value_types() -> StatefulProcessor:
+    """The processor of ``value_index``; a local class, so it travels by value."""
 
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.labels = handle.getMapState("labels", "label string", "n long")
+    class ValueTypes(StatefulProcessor):
+        """For each value hash the labels seen so far; a value without labels is passed on as open."""
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        values: set[str] = set()
-        for f in rows:
-            values |= set(f["value"])
-            for label in f["label"].dropna():
-                n = self.labels.getValue((label,))[0] if self.labels.containsKey((label,)) else 0
-                self.labels.updateValue((label,), (n + 1,))
-        known = sorted(k[0] for k in self.labels.keys())
-        yield pd.DataFrame({"value": sorted(values), "labels": ["|".join(known)] * len(values)})
+        def init(self, handle: StatefulProcessorHandle) -> None:
+            self.labels = handle.getMapState("labels", "label string", "n long")
 
-    def close(self) -> None:
-        pass
+        def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
+            values: set[str] = set()
+            for f in rows:
+                values |= set(f["value"])
+                for label in f["label"].dropna():
+                    n = self.labels.getValue((label,))[0] if self.labels.containsKey((label,)) else 0
+                    self.labels.updateValue((label,), (n + 1,))
+            known = sorted(k[0] for k in self.labels.keys())
+            yield pd.DataFrame({"value": sorted(values), "labels": ["|".join(known)] * len(values)})
+
+        def close(self) -> None:
+            pass
+
+    return ValueTypes()
 
 
 def value_index(stream: DataFrame) -> DataFrame:
     """(value, labels) as (value, label or null) rows arrive."""
     keyed = stream.withColumn("value_hash", F.xxhash64("value"))
-    return keyed.groupBy("value_hash").transformWithStateInPandas(ValueTypes(), "value string, labels string", "Update", "None")
+    return keyed.groupBy("value_hash").transformWithStateInPandas(value_types(), "value string, labels string", "Update", "None")
 
 
 def annotate_batches(stream: DataFrame, index: DataFrame, sink: str, queue: str, checkpoint: str):
