@@ -63,3 +63,22 @@ def test_captured_columns_leave(spark):
     ann = spark.createDataFrame([("a", "T")], "column_id string, label string")
     left, siblings = cascade.capture(m, ann)
     assert [r["column_id"] for r in left.collect()] == ["b"] and [r["label"] for r in siblings.collect()] == ["T"]
+
+
+def test_import_needs_no_session():
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    done = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; e.queries(); e.oracle_sql()"], cwd=root, capture_output=True, text=True)
+    assert done.returncode == 0, done.stderr[-500:]
+
+
+def test_sql_functions(spark, tiny):
+    from coltypes.functions import sqlapi
+
+    assert E.sql_functions(spark, tiny).count() == 1
+    sqlapi.register(spark)
+    got = spark.sql("select len from length_sample(array('a','bb','cc','ddd'), 3)").collect()
+    assert sorted(r[0] for r in got) == [1, 2, 3]
+    assert abs(spark.sql("select cosine_of(array(1d, 0d), array(1d, 1d))").first()[0] - 0.5**0.5) < 1e-9
