@@ -20,7 +20,7 @@ import regex
 from tokenizers import Tokenizer
 
 #: Distinct pieces kept in a worker; what is new beyond that is encoded each time it comes.
-STORE = 1_000_000
+STORE = 700_000
 _LIMIT = 0x250
 _OTHER = re.compile(f"[^\\x00-{chr(_LIMIT - 1)}]|\\u0130")
 
