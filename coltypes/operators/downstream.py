@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from coltypes.functions.encoders import Encoder, encode
 from coltypes.functions.exprs import cosine
+from coltypes.operators.valueindex import pairs_of_sets
 
 
 def _sets(annotations: DataFrame) -> DataFrame:
@@ -62,7 +63,10 @@ def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int) ->
     a, b = c.toDF("left_id", "lt", "truth"), c.toDF("right_id", "rt", "truth")
     same = a.join(b, "truth").where("left_id < right_id and lt <> rt").select("left_id", "right_id")
     v = values.select("column_id", "value").distinct()
-    meet = lambda x: same.join(x.toDF("left_id", "value"), "left_id").join(x.toDF("right_id", "value"), ["right_id", "value"]).select("left_id", "right_id").distinct()
+
+    def meet(x: DataFrame) -> DataFrame:
+        return pairs_of_sets(x.join(c, "column_id"), "column_id", ["truth", "value"]).toDF("left_id", "right_id").join(same, ["left_id", "right_id"], "left_semi")
+
     equi = meet(v).withColumn("equi", F.lit(1))
     if task == "join":
         fuzzy = meet(v.select("column_id", F.regexp_replace(F.lower("value"), "[^a-z0-9]", "").alias("value")).where("value <> ''").distinct())

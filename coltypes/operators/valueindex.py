@@ -27,7 +27,15 @@ def fallback(types: DataFrame, kinds: DataFrame, found: DataFrame, key: str = "s
 
 
 def sharing(values: DataFrame, key: str = "seed_cluster") -> DataFrame:
-    """(a, b): keys with a common value. Retrieval for one cluster is then a look at its neighbours that have types."""
-    v = values.select(F.col(key).alias("k"), "value").distinct()
-    a, b = v.withColumnRenamed("k", "a"), v.withColumnRenamed("k", "b")
-    return a.join(b, "value").where("a <> b").select("a", "b").distinct()
+    """(a, b): keys with a common value. Retrieval for one cluster is then a look at its neighbours that have types.
+
+    Values held by the same keys count once: pairs are made from the distinct sets of keys, so their
+    number follows the keys and not the values.
+    """
+    return pairs_of_sets(values.select(F.col(key).alias("k"), "value"), "k", ["value"]).where("a <> b")
+
+
+def pairs_of_sets(rows: DataFrame, key: str, by: list[str]) -> DataFrame:
+    """(a, b): all ordered pairs of keys that meet under some value of ``by``."""
+    sets = rows.groupBy(*by).agg(F.array_sort(F.collect_set(key)).alias("s")).where(F.size("s") > 1).select("s").distinct()
+    return sets.select("s", F.explode("s").alias("a")).select("a", F.explode("s").alias("b")).distinct()
