@@ -74,27 +74,27 @@ class Encoder:
         self.first, self.count, self.pieces = np.zeros(1024, np.int64), np.zeros(1024, np.int32), 0
         self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
 
-    def _encoded(self, new: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def _encoded(self, new: list[str], apart: bool) -> tuple[np.ndarray, np.ndarray]:
         """The ids of pieces one after another, and how many each has.
 
         Pieces that stay apart in a joined text are encoded as one text, which spares an object for
         each; that they did stay apart shows in the number of words the library counts.
         """
-        text = (" " if self.kind == "words" else "").join(new)
-        got = self.library.encode(text, add_special_tokens=False)
-        word = np.array(got.word_ids, np.int64) if got.word_ids and None not in got.word_ids else np.zeros(0, np.int64)
-        if len(word) and word[-1] + 1 == len(new):
-            return np.array(got.ids, np.uint32), np.bincount(word, minlength=len(new))
+        if apart:
+            got = self.library.encode((" " if self.kind == "words" else "").join(new), add_special_tokens=False)
+            words = got.word_ids
+            if words and None not in words and words[-1] + 1 == len(new):
+                return np.array(got.ids, np.uint32), np.bincount(np.array(words, np.int64), minlength=len(new))
         each = [e.ids for e in self.library.encode_batch_fast(new, add_special_tokens=False)]
         return np.array([i for ids in each for i in ids], np.uint32), np.array([len(ids) for ids in each], np.int64)
 
     def _append(self, new: list[str], place: dict[str, int]) -> None:
         alone = [] if self.kind == "words" else [p for p in new if not (p[0] == " " and p[1:].isalpha())]
-        apart = set(alone)
-        for some in ([p for p in new if p not in apart], *([p] for p in alone)):
+        others = set(alone)
+        for some, apart in (([p for p in new if p not in others], True), (alone, False)):
             if not some:
                 continue
-            ids, counts = self._encoded(some)
+            ids, counts = self._encoded(some, apart)
             need, n = self.used + len(ids), self.pieces + len(some)
             if n > len(self.first):
                 self.first, self.count = (np.concatenate([x, np.zeros(n, x.dtype)]) for x in (self.first, self.count))
