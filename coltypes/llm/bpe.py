@@ -20,7 +20,7 @@ import regex
 from tokenizers import Tokenizer
 
 #: Distinct pieces kept in a worker; what is new beyond that is encoded each time it comes.
-STORE = 700_000
+STORE = 1_000_000
 _LIMIT = 0x250
 _OTHER = re.compile(f"[^\\x00-{chr(_LIMIT - 1)}]|\\u0130")
 
@@ -48,7 +48,8 @@ def _patterns() -> dict[str, re.Pattern]:
 class Encoder:
     """encode(text) -> ids, equal to those of the library for the whole text."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, store: int | None = None):
+        self.store = store or STORE
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
@@ -136,7 +137,7 @@ class Encoder:
         if missing:
             new = list(dict.fromkeys([flat[k] for k in missing]))
             place = self.place
-            if self.pieces + len(new) > STORE:
+            if self.pieces + len(new) > self.store:
                 place, mark = {}, (self.pieces, self.used)
             self._append(new, place)
             at[missing] = [place[flat[k]] for k in missing]
@@ -161,11 +162,11 @@ def _latin(text: str) -> bool:
     return True
 
 
-_READY: dict[str, Encoder] = {}
+_READY: dict[tuple, Encoder] = {}
 
 
-def encoder(path: str) -> Encoder:
-    """One encoder for each file and worker."""
-    if path not in _READY:
-        _READY[path] = Encoder(path)
-    return _READY[path]
+def encoder(path: str, store: int | None = None) -> Encoder:
+    """One encoder for each file, store size and worker."""
+    if (path, store) not in _READY:
+        _READY[path, store] = Encoder(path, store)
+    return _READY[path, store]

@@ -77,7 +77,7 @@ def texts_of(column: pa.ChunkedArray | pa.Array) -> list[str]:
     return [t or "" for t in column.to_pylist()]
 
 
-def pieces(batch: pa.RecordBatch, column: str, most: int = 2 << 20):
+def pieces(batch: pa.RecordBatch, column: str, most: int = 1 << 19):
     """Slices of a batch with at most so many bytes of text each, one row at least."""
     sizes = batch.column(column).cast(pa.large_string())
     lengths = pa.compute.fill_null(pa.compute.binary_length(sizes), 0).to_numpy(zero_copy_only=False)

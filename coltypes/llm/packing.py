@@ -36,6 +36,8 @@ class Settings:
     loss: int = 2048
     window: int = 1024
     cut: bool = True
+    #: distinct pieces of text that a worker remembers the ids of
+    store: int = 400_000
 
     @property
     def capacity(self) -> np.ndarray:
@@ -138,7 +140,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, settings: Setti
     s = settings
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = bpe.encoder(tokenizer)
+        encoder = bpe.encoder(tokenizer, s.store)
         packer = Packer(s, TaskContext.get().partitionId() << 40)
         held: dict[int, list] = {}  # of documents not wholly placed: doc_id, ids, ids still to place
         serial = 0
@@ -155,7 +157,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, settings: Setti
             columns = list(zip(*rows, strict=True)) or [()] * 7
             return pa.record_batch([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-        for batch in (piece for whole in batches for piece in common.pieces(whole, "text", 1 << 20)):
+        for batch in (piece for whole in batches for piece in common.pieces(whole, "text", 1 << 19)):
             placed = []
             for doc_id, ids in zip(batch.column("doc_id").to_pylist(), encoder.encode_all(common.texts_of(batch.column("text"))), strict=True):
                 ids = np.append(ids, np.uint32(end_id)).astype("<u4")
