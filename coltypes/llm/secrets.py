@@ -4,12 +4,13 @@ Sure kinds (each leftmost, non-overlapping, a match that is too short is consume
 ``assign`` a keyword with a value, ``access`` an access identifier, ``hex`` a long hexadecimal run.
 
 Multipart linking. Parts of a credential that mean little alone are found as roles: an *identifier*
-(a client or user name in a setting, or an access identifier), a *secret* (a long mixed token, or the
-value of a sure assignment) and an *endpoint* (a URL, a host with a port, an address in a setting).
-A scope is a stretch of ``reach`` code points on from the start of an identifier and back from it; the intervals
-of identifiers are joined with the secrets they overlap, and these pairs with endpoints. A weak
-candidate (``ident``, ``weak``, ``endpoint``) is reported only when at least two complementary roles,
-a secret-bearing one among them, meet in one scope. Reported spans come on top of the sure ones.
+(a client or user name in a setting, or an access identifier), a *secret* (a long mixed token, the
+value of a sure assignment, or a long hexadecimal run) and an *endpoint* (a URL, a host with a port,
+an address in a setting). Every part has a scope, ``reach`` code points on from its end and back from
+its start; two parts meet when one overlaps the other's scope, which is so both ways or neither.
+A weak candidate (``ident``, ``weak``, ``endpoint``) is reported when it meets a complement: a secret
+an identifier or an endpoint, these two a secret. An endpoint that meets an identifier which meets a
+secret is reported too. Parts may lie over each other. Reported spans come on top of the sure ones.
 
 Spans are code points, end exclusive. Defined cases: null text counts as empty (no span); the same
 place may carry several kinds; columns other than doc_id and text pass or are not read.
@@ -62,42 +63,61 @@ def _mixed(token: str) -> bool:
     return any(c.isdigit() for c in token) and any(c.islower() for c in token) and any(c.isupper() for c in token)
 
 
-def _overlaps(starts: np.ndarray, ends: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Interval join: for each scope [low, high) the run of parts inside it, as first and last + 1 of the sorted parts."""
-    return np.searchsorted(starts, low, "left"), np.maximum(np.searchsorted(ends, high, "right"), 0)
+class _Parts:
+    """Sorted intervals, looked up by the scope that they overlap."""
+
+    def __init__(self, parts: list[tuple[int, int]]):
+        self.parts = sorted(parts)
+        self.starts = np.array([s for s, _ in self.parts], np.int64)
+        # intervals may be nested: the farthest end so far is sorted where the ends are not
+        self.farthest = np.maximum.accumulate(np.array([e for _, e in self.parts], np.int64))
+
+    def meeting(self, anchors: list[tuple[int, int]], reach: int) -> list[list[tuple[int, int]]]:
+        """For each anchor the parts that its scope overlaps."""
+        if not self.parts or not anchors:
+            return [[] for _ in anchors]
+        low, high = np.array(anchors, np.int64).T + np.array([[-reach], [reach]])
+        first, last = np.searchsorted(self.farthest, low, "left"), np.searchsorted(self.starts, high, "right")
+        return [[p for p in self.parts[i:j] if p[1] >= x] for i, j, x in zip(first.tolist(), last.tolist(), low.tolist(), strict=True)]
+
+
+def _weak(text: str, found: list[tuple[int, int, int]]) -> list[tuple[int, int]]:
+    """Long mixed tokens that touch no sure span."""
+    taken = _Parts([(s, e - 1) for s, _, e in found])
+    tokens = [(m.start(), m.end()) for m in WEAK.finditer(text) if _mixed(m.group())]
+    return [t for t, met in zip(tokens, taken.meeting([(s, e - 1) for s, e in tokens], 0), strict=True) if not met]
 
 
 def linked(text: str, found: list[tuple[int, int, int]], settings: Settings = Settings()) -> list[tuple[int, int, int]]:
     """(start, kind, end) of weak parts with a complement in their scope."""
-    ids = [(m.start(), m.end()) for m in IDENT.finditer(text)] if "=" in text or ":" in text else []
+    signs = "=" in text or ":" in text  # in every identifier setting and every endpoint
     access = [(s, e) for s, kind, e in found if kind == 1]
-    if not ids and not access:
+    if not signs and not access:
         return []
-    anchors = sorted(ids + access)
-    sure_secrets = [(s, e) for s, kind, e in found if kind == 0]
-    taken = [(s, e) for s, _, e in found]
-    weak = [(m.start(), m.end()) for m in WEAK.finditer(text) if _mixed(m.group())]
-    weak = [(s, e) for s, e in weak if not any(s < y and x < e for x, y in taken)]
-    ends = [(m.start(), m.end()) for m in ENDPOINT.finditer(text)]
-    ids_set, weak_set = set(ids), set(weak)
-    secrets = sorted(sure_secrets + weak)
+    weak = _weak(text, found)
+    secrets = sorted(weak + [(s, e) for s, kind, e in found if kind != 1])
     if not secrets:
         return []
-    low = np.array([s for s, _ in anchors]) - settings.reach
-    high = np.array([e for _, e in anchors]) + settings.reach
+    ids = [(m.start(), m.end()) for m in IDENT.finditer(text)] if signs else []
+    ends = [(m.start(), m.end()) for m in ENDPOINT.finditer(text)] if signs else []
+    known, weak_set = _Parts(secrets), set(weak)
     out: set[tuple[int, int, int]] = set()
-    s_first, s_last = _overlaps(*(np.array(x) for x in zip(*secrets, strict=True)), low, high)
-    if ends:
-        e_first, e_last = _overlaps(*(np.array(x) for x in zip(*ends, strict=True)), low, high)
-    for k, anchor in enumerate(anchors):
-        inside = secrets[s_first[k] : s_last[k]]
-        if not inside:
-            continue
-        if anchor in ids_set:
-            out.add((anchor[0], 3, anchor[1]))
-        out |= {(s, 4, e) for s, e in inside if (s, e) in weak_set}
-        if ends:
-            out |= {(s, 5, e) for s, e in ends[e_first[k] : e_last[k]]}
+
+    def meet(parts: list[tuple[int, int]], kind: int | None) -> list[tuple[int, int]]:
+        """Report parts that meet a secret, and these secrets; returns the parts."""
+        met = []
+        for part, inside in zip(parts, known.meeting(parts, settings.reach), strict=True):
+            if inside:
+                met.append(part)
+                out.update((s, 4, e) for s, e in inside if (s, e) in weak_set)
+        if kind is not None:
+            out.update((s, kind, e) for s, e in met)
+        return met
+
+    anchors = meet(ids, 3) + meet(access, None)
+    meet(ends, 5)
+    for inside in _Parts(ends).meeting(anchors, settings.reach):
+        out.update((s, 5, e) for s, e in inside)
     return sorted(out)
 
 

@@ -364,6 +364,36 @@ def test_linked_parts():
     assert kinds(f"client_id = svc-backup {'x ' * 600} {key}") == []
 
 
+def test_linked_parts_without_identifier_or_assignment():
+    key, hexed, url = "wJalrXUtnFEMI7MDENGbPxRfiCYEXAMPLEKEY99x", "0123456789abcdef" * 2, "https://db.example.net/x"
+    kinds = lambda t: [secrets.KINDS[k] for _, k, _ in secrets.scan(t)[1]]
+    assert kinds(f"{url} {key}") == ["endpoint", "weak"] and kinds(f"{key} db.example.net:5432") == ["weak", "endpoint"]
+    assert kinds(f"client_id=svc-backup {url} {hexed}") == ["ident", "endpoint", "hex"]
+    assert kinds(f"{url} {hexed}") == ["endpoint", "hex"] and kinds(f"{url} token=abcdef12") == ["endpoint", "assign"]
+    assert kinds(f"{url} {'x ' * 600} {key}") == [] and kinds(f"{url} client_id=svc-backup") == []
+    # identifier and endpoint on both sides of a secret, and an endpoint in reach of the identifier alone
+    assert kinds(f"client_id=svc-backup {'x ' * 150}{key} {'x ' * 150}{url}") == ["ident", "weak", "endpoint"]
+    assert kinds(f"{url} {'x ' * 150}client_id=svc-backup {'x ' * 150}{key}") == ["endpoint", "ident", "weak"]
+    assert secrets.masked(*(lambda t: (t, secrets.scan(t)[1]))(f"see {url} {key}.")) == "see [SECRET] [SECRET]."
+
+
+@given(st.lists(st.sampled_from(["client_id=svc-backup", "wJalrXUtnFEMI7MDENGbPxRfiCY", "0123456789abcdef" * 2, "https://db.example.net/x", "token=abcdef12", "AKIA" + "Q7" * 8, "pad " * 5]), max_size=14))
+@settings(max_examples=150, deadline=None)
+def test_linked_parts_equal_brute_force(words):
+    text, reach = " ".join(words), 40
+    base, got = secrets.scan(text, secrets.Settings(reach))
+    at, parts = 0, []
+    for w in words:
+        kind = {"c": 3, "w": 4, "0": 2, "h": 5, "t": 0, "A": 1}.get(w[0])
+        parts += [(at, kind, at + len(w))] if kind is not None else []
+        at += len(w) + 1
+    meet = lambda a, b: a[0] <= b[2] + reach and b[0] <= a[2] + reach
+    secret, ident, end = ([p for p in parts if p[1] in ks] for ks in ((0, 2, 4), (1, 3), (5,)))
+    tied = [p for p in ident if any(meet(p, s) for s in secret)]
+    want = [p for p in tied if p[1] == 3] + [p for p in end if any(meet(p, s) for s in secret + tied)] + [p for p in secret if p[1] == 4 and any(meet(p, q) for q in ident + end)]
+    assert got == sorted(base + want)
+
+
 def test_secrets_odd_rows_and_mask(spark):
     got = secrets.find(odd(spark)).collect()
     assert len(got) == len(ODD) and all(r["spans"] == "" for r in got)
