@@ -12,7 +12,10 @@ dropped once the posterior probability of the similarity falls below ``miss``; s
 confirmed on their full sets.
 
 Defined cases: null text counts as empty; a row with a null doc_id links with nothing and stays;
-rows that repeat a doc_id are judged each by its own text; other columns are not read.
+rows that repeat a doc_id are judged each by its own text, told apart by a 64-bit hash of it; of each
+group one (doc_id, text) is kept, that of the smallest doc_id and then of the smallest hash. Rows
+alike in both are one document that came more than once: they stay or go together. Other columns are
+not read.
 """
 
 from __future__ import annotations
@@ -24,7 +27,7 @@ from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from coltypes.llm import common, wordhash
@@ -53,7 +56,7 @@ class Settings:
         return self.bands * self.rows
 
 
-SKETCH = "doc_id long, n_shingles long, key long, signature binary, bands array<long>"
+SKETCH = "doc_id long, print long, n_shingles long, key long, signature binary, bands array<long>"
 
 
 @lru_cache(maxsize=4)
@@ -106,7 +109,7 @@ def _sketcher(s: Settings):
                     for r in range(s.rows):
                         h = wordhash.mix(h ^ parts[:, r])
                     bands.append(h.view(np.int64))
-                yield pa.record_batch([batch.column("doc_id").cast(pa.int64()), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(signatures, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "key", "signature", "bands"])
+                yield pa.record_batch([batch.column("doc_id").cast(pa.int64()), batch.column("print"), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(signatures, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "print", "n_shingles", "key", "signature", "bands"])
 
     return run
 
@@ -242,13 +245,18 @@ def _unit(s: Settings):
     return run
 
 
+def _print(docs: DataFrame) -> Column:
+    """What tells rows of one doc_id apart: a hash of the text, null as empty."""
+    return F.xxhash64(F.coalesce(docs["text"].cast("string"), F.lit("")))
+
+
 class _Search:
     """The tables of one run."""
 
     def __init__(self, docs: DataFrame, s: Settings):
         self.spark, self.s, self.tables = common.prepare(docs.sparkSession), s, Tables("near")
         self.docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        self.sketch = self.keep(self.docs.mapInArrow(_sketcher(s), SKETCH), "sketch")
+        self.sketch = self.keep(self.docs.withColumn("print", _print(self.docs)).mapInArrow(_sketcher(s), SKETCH), "sketch")
 
     def keep(self, df: DataFrame, tag: str) -> DataFrame:
         return self.tables.keep(df, tag)
@@ -283,25 +291,31 @@ class _Search:
         return classes(buckets, hub_links, unit_links, self.tables, s.block_keys, s.block_shingles, possible)
 
 
-def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id, kept (doc_id = component_id; a null doc_id stays)."""
+def _judged(docs: DataFrame, settings: Settings) -> DataFrame:
+    """The rows of ``groups`` with the hash of their text, print."""
     run = _Search(docs, settings)
     part = run.classes()
-    keyed = run.sketch.where("doc_id is not null and key is not null").groupBy("key").agg(F.min("doc_id").alias("least"))
+    keyed = run.sketch.where("doc_id is not null and key is not null").groupBy("key").agg(F.min(F.struct("doc_id", "print")).alias("least"))
     if part is None:
         roots = keyed.select("key", F.col("least").alias("root"))
     else:
         keyed = keyed.join(part, "key", "left").withColumn("part", F.coalesce("part", "key"))
         roots = keyed.select("key", "part").join(keyed.groupBy("part").agg(F.min("least").alias("root")), "part").select("key", "root")
-    rows = run.sketch.select("doc_id", "n_shingles", "key")
-    component = F.coalesce(F.when(F.col("doc_id").isNotNull(), F.col("root")), F.col("doc_id"))
-    out = rows.join(roots, "key", "left").select("doc_id", "n_shingles", component.alias("component_id"))
-    out = common.stored(out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))), "near-result")[0]
+    rows = run.sketch.select("doc_id", "print", "n_shingles", "key")
+    root = F.when(F.col("doc_id").isNotNull(), F.col("root"))  # null for a row that links with nothing
+    kept = F.coalesce((F.col("doc_id") == root["doc_id"]) & (F.col("print") == root["print"]), F.lit(True))
+    out = rows.join(roots, "key", "left").select("doc_id", "print", "n_shingles", F.coalesce(root["doc_id"], F.col("doc_id")).alias("component_id"), kept.alias("kept"))
+    out = common.stored(out, "near-result")[0]
     run.tables.drop(out)
     return out
 
 
+def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id, kept (the one of its group; a null doc_id stays)."""
+    return _judged(docs, settings).drop("print")
+
+
 def keep_one(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     """The documents without all but one of each group, in the columns that came."""
-    gone = groups(docs, settings).where("not kept").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs["doc_id"].cast("long") == gone["__gone"], "left_anti")
+    gone = _judged(docs, settings).where("not kept").select(F.col("doc_id").alias("__gone"), F.col("print").alias("__print")).distinct()
+    return docs.join(gone, (docs["doc_id"].cast("long") == gone["__gone"]) & (_print(docs) == gone["__print"]), "left_anti")

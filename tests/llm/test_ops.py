@@ -123,6 +123,21 @@ def test_near_duplicates_odd_rows(spark):
     assert neardup.keep_one(odd(spark)).count() == len(ODD)
 
 
+def test_near_duplicates_with_clashing_ids(spark):
+    """Rows of one id are kept or not each by its own text, and one of a group is kept."""
+    words = [f"w{k}" for k in range(60)]
+    one, near, alone, other = " ".join(words), " ".join([*words[:-1], "x"]), "quite another text than all of these", " ".join(reversed(words))
+    rows_ = [(1, one), (7, one), (7, alone), (3, other), (3, other.replace("w0", "y")), (9, other), (5, near), (5, ""), (8, None), (8, None)]
+    df = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(rows_)], "doc_id long, text string, place int")
+    kept = [rows_[r["place"]] for r in neardup.keep_one(df).collect()]
+    assert (1, one) in kept and (7, alone) in kept and kept.count((8, None)) == 2 and (5, "") in kept
+    assert sum(t == other or t == rows_[4][1] for _, t in kept) == 1 and all(i == 3 for i, t in kept if t and t.startswith("w59"))
+    assert len(kept) == 6 == sum(r["kept"] for r in neardup.groups(df).collect())
+    leads = [(1, one), (1, alone), (2, alone)]  # an id with one copy and one leader: the group of the leader stays
+    got = neardup.keep_one(spark.createDataFrame([(0, one), *leads], "doc_id long, text string")).collect()
+    assert sorted((r["doc_id"], r["text"]) for r in got) == [(0, one), (1, alone)]
+
+
 def test_pruning_bound():
     least = neardup.least_matches(neardup.Settings())
     assert (np.diff(least) > 0).all() and least[-1] < 0.8 * 512
