@@ -10,13 +10,16 @@ Each task packs its own stream in windows of ``window`` items; the last unfilled
 goes on into the next one, so a task pads one sequence at most (with ``cut``, and while segments do
 not run out first). A document longer than a sequence fills sequences of its own first.
 
+The loss-bearing tokens of an item are its last ones, as the answer follows the prompt; so each cut
+knows how many it takes along.
+
 Defined cases: null text counts as empty (its end id alone is packed); an item that asks for more
-than a capacity, when it may not be cut, gets a sequence of its own; repeated rows are packed each.
+than a capacity, when it may not be cut, gets a sequence of its own; repeated rows are packed each;
+an item without tokens (null or 0) takes a segment.
 """
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -69,18 +72,19 @@ class Packer:
     def add(self, name, length: int, loss: int) -> Iterator[tuple]:
         """Take an item in; yields the pieces of sequences that are full."""
         s, first = self.s, 0
-        if length == 0:
-            return
         if s.cut:
-            step = s.tokens if not loss else min(s.tokens, max(1, int(length * s.loss / loss)))
-            while length - first >= step:
+            loss = min(loss, length)
+            while length > first:
+                step = min(s.tokens, length - first - loss + s.loss)
+                if length - first < step:
+                    break
                 yield (name, first, step, self.sequence_of_own(), 0)
                 first += step
-            loss = -(-loss * (length - first) // length)
+                loss = min(loss, length - first)
         elif length > s.tokens or loss > s.loss:
             yield (name, 0, length, self.sequence_of_own(), 0)
             return
-        if length > first:
+        if length > first or not length:
             self.pool.append((name, first, length - first, loss))
         if len(self.pool) >= s.window:
             yield from self._pack(s.window // 2)
@@ -107,11 +111,11 @@ class Packer:
             elif self.s.cut and self.left[0] >= 1 and self.left[1] >= 1 and self.left[2] >= 1:
                 k = int(np.where(alive, demand[:, 0], -1).argmax())
                 name, first, n, loss = self.pool[k]
-                head = int(min(self.left[0], n - 1, n if not loss else max(1, self.left[2] * n // loss)))
+                head = int(min(self.left[0], n - 1, n - loss + self.left[2]))
                 if head < 1:
                     yield from self._close()
                     continue
-                part = min(loss, int(self.left[2]), -(-loss * head // n))
+                part = max(0, head - (n - loss))
                 self._place(name, first, head, part)
                 self.pool[k] = (name, first + head, n - head, loss - part)
                 demand[k] = (n - head, 1, loss - part)
@@ -129,46 +133,71 @@ class Packer:
         yield from self._close()
 
 
-PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
+PACKED = "doc_id long, start long, length long, ids binary, loss_mask binary, doc_tokens long, sequence_id long, offset long"
+
 
+def _mask(total: int, loss: int, first: int, length: int, offset: int) -> bytes:
+    out = np.zeros(length, np.uint8)
+    out[max(0, total - loss - first) :] = 1
+    if not offset:
+        out[:1] = 0  # nothing stands before it
+    return out.tobytes()
 
-def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, settings: Settings = Settings()) -> DataFrame:
-    """One row per piece of a document: where it starts in the document and in its sequence, with the checksum of its ids.
 
-    All ids of a document but a sequence's first bear loss; they are counted as all.
+def pack_sequences(docs: DataFrame, tokenizer: str, end_id: int, settings: Settings = Settings(), loss: str | None = None) -> DataFrame:
+    """One row per piece of a document: its ids, its loss mask, where it starts in the document and in its sequence.
+
+    ids holds little-endian uint32 and loss_mask one byte (0 or 1) for each id; the pieces of a
+    sequence_id in the order of offset are the sequence. ``loss`` names a column of ``docs`` with the
+    number of loss-bearing ids, the last ones of a document with its end id. Without it, or where it is
+    null, all ids bear loss. The first id of a sequence never does, though it is counted under the limit.
     """
     s = settings
+    names = ["doc_id", "start", "length", "ids", "loss_mask", "doc_tokens", "sequence_id", "offset"]
+    kinds = [pa.binary() if n in ("ids", "loss_mask") else pa.int64() for n in names]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = bpe.encoder(tokenizer, s.store)
         packer = Packer(s, TaskContext.get().partitionId() << 40)
-        held: dict[int, list] = {}  # of documents not wholly placed: doc_id, ids, ids still to place
+        held: dict[int, list] = {}  # of documents not wholly placed: doc_id, ids, loss-bearing ids, ids still to place
         serial = 0
 
         def told(placed: list[tuple]) -> pa.RecordBatch:
             rows = []
             for name, first, length, sequence, offset in placed:
                 entry = held[name]
-                doc_id, ids = entry[0], entry[1]
-                rows.append((doc_id, first, length, zlib.crc32(ids[first : first + length].tobytes()), len(ids), sequence, offset))
-                entry[2] -= length
-                if not entry[2]:
+                doc_id, ids, bearing, _ = entry
+                rows.append((doc_id, first, length, ids[first : first + length].tobytes(), _mask(len(ids), bearing, first, length, offset), len(ids), sequence, offset))
+                entry[3] -= length
+                if not entry[3]:
                     del held[name]
-            columns = list(zip(*rows, strict=True)) or [()] * 7
-            return pa.record_batch([pa.array(c, pa.int64()) for c in columns], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
+            columns = list(zip(*rows, strict=True)) or [()] * len(names)
+            return pa.record_batch([pa.array(c, kind) for c, kind in zip(columns, kinds, strict=True)], names)
 
         for batch in (piece for whole in batches for piece in common.pieces(whole, "text", 1 << 19)):
             placed = []
-            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), encoder.encode_all(common.texts_of(batch.column("text"))), strict=True):
+            for doc_id, wanted, ids in zip(batch.column("doc_id").to_pylist(), batch.column("loss").to_pylist(), encoder.encode_all(common.texts_of(batch.column("text"))), strict=True):
                 ids = np.append(ids, np.uint32(end_id)).astype("<u4")
-                held[serial] = [doc_id, ids, len(ids)]
-                placed += packer.add(serial, len(ids), len(ids))
+                bearing = len(ids) if wanted is None else min(max(wanted, 0), len(ids))
+                held[serial] = [doc_id, ids, bearing, len(ids)]
+                placed += packer.add(serial, len(ids), bearing)
                 serial += 1
             yield told(placed)
         yield told(list(packer.finish()))
 
     common.prepare(docs.sparkSession)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, PIECES)
+    bearing = (docs[loss] if loss else F.lit(None)).cast("long").alias("loss")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), bearing).mapInArrow(run, PACKED)
+
+
+def digest(packed: DataFrame) -> DataFrame:
+    """The pieces with the checksum of their ids in place of these and of the mask."""
+    return packed.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
+
+
+def pack_documents(docs: DataFrame, tokenizer: str, end_id: int, settings: Settings = Settings(), loss: str | None = None) -> DataFrame:
+    """The digest of ``pack_sequences``."""
+    return digest(pack_sequences(docs, tokenizer, end_id, settings, loss))
 
 
 def assign(items: DataFrame, settings: Settings = Settings(cut=False)) -> DataFrame:
@@ -186,10 +215,10 @@ def assign(items: DataFrame, settings: Settings = Settings(cut=False)) -> DataFr
         for batch in batches:
             placed = []
             for item, tokens, loss in zip(*(batch.column(c).to_pylist() for c in ("item_id", "tokens", "loss")), strict=True):
-                if tokens:
-                    losses[serial] = (item, loss or 0, tokens)
-                    placed += packer.add(serial, tokens, loss or 0)
-                    serial += 1
+                tokens, loss = max(tokens or 0, 0), max(loss or 0, 0)
+                losses[serial] = (item, loss, tokens)
+                placed += packer.add(serial, tokens, loss)
+                serial += 1
             yield told(placed)
         yield told(list(packer.finish()))
 

@@ -66,7 +66,8 @@ def op7_kneser_ney_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_vector_bin_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(documents(spark, sf_dir), tokenizer(WORDS), 1)
+    """The packed sequences of ``packing.pack_sequences``, told by the checksum of their ids."""
+    return packing.digest(packing.pack_sequences(documents(spark, sf_dir), tokenizer(WORDS), 1))
 
 
 def op9_multipart_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,8 @@
 
 quality: documents that the classifier rejects go. near_dedup: one document of each group of near
 copies (five words, similarity 0.8) stays. decontamination: documents that hold a benchmark passage
-go. secrets: found spans are masked in the text. packing: the remaining documents become sequences.
+go. secrets: found spans are masked in the text. packing: the remaining documents become sequences
+of token ids with a loss mask.
 All but the last return the columns of documents.
 """
 
@@ -30,7 +31,7 @@ def secrets_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(docs, queries.tokenizer(queries.WORDS), 1)
+    return packing.pack_sequences(docs, queries.tokenizer(queries.WORDS), 1)
 
 
 STAGES = [

@@ -287,6 +287,39 @@ def test_packing_limits(spark):
     assert packing.pack_documents(empty(spark), queries.tokenizer(queries.WORDS), 1).count() == 0
 
 
+def test_packed_ids_and_loss(spark, rows):
+    """The ids and masks that come out are the documents'; loss counts of the input bind under their own limit."""
+    library = Tokenizer.from_file(queries.tokenizer(queries.WORDS))
+    texts = {i: t[:3000] for i, t in list(rows.items())[:120]}
+    ids = {i: [*library.encode(t, add_special_tokens=False).ids, 1] for i, t in texts.items()}
+    bears = {i: None if i % 5 == 0 else len(x) * (i % 4) // 4 for i, x in ids.items()}
+    df = spark.createDataFrame([(i, t, bears[i]) for i, t in texts.items()], "doc_id long, text string, answer long")
+    for s in (packing.Settings(tokens=100, segments=4, loss=30, window=64), packing.Settings()):
+        pieces, sequences = {}, {}
+        for r in packing.pack_sequences(df, queries.tokenizer(queries.WORDS), 1, s, "answer").collect():
+            mask = list(r["loss_mask"])
+            assert len(mask) == r["length"] and (r["offset"] or not mask[0])
+            pieces.setdefault(r["doc_id"], []).append((r["start"], np.frombuffer(r["ids"], "<u4").tolist(), mask, r["offset"]))
+            sequences.setdefault(r["sequence_id"], []).append((r["length"], sum(mask)))
+        for i, want in ids.items():
+            own = sorted(pieces[i])
+            assert [x for p in own for x in p[1]] == want
+            loss = len(want) if bears[i] is None else bears[i]
+            for start, part, mask, offset in own:
+                assert mask == [int(start + k >= len(want) - loss and (offset or k) > 0) for k in range(len(part))]
+        for p in sequences.values():
+            assert sum(n for n, _ in p) <= s.tokens and len(p) <= s.segments and sum(m for _, m in p) <= s.loss
+    full = [p for p in sequences.values() if sum(n for n, _ in p) == 2048]
+    assert full
+
+
+def test_assign_keeps_items_without_tokens(spark):
+    items = [(1, 0, 0), (2, None, None), (3, 5, 2), (4, 0, 3)]
+    for cut in (False, True):
+        got = packing.assign(spark.createDataFrame(items, "item_id long, tokens long, loss long"), packing.Settings(cut=cut)).collect()
+        assert sorted((r["item_id"], r["tokens"]) for r in got) == [(1, 0), (2, 0), (3, 5), (4, 0)]
+
+
 # ---- decontamination
 
 
