@@ -53,11 +53,11 @@ def suspect_columns(annotations: DataFrame, expected: int = 1) -> DataFrame:
     return annotations.groupBy("column_id").agg(F.countDistinct("label").alias("n_types")).where(F.col("n_types") > expected)
 
 
-def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int) -> DataFrame:
+def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int | None = None) -> DataFrame:
     """(left_id, right_id, relation): column pairs of different tables with the same true type.
 
     join: the values meet, as they are (equi) or after normalisation (fuzzy). match: equi if the
-    values meet, else union. The first ``most`` by a hash of the pair, which is the size of the task.
+    values meet, else union. All pairs; with ``most`` a sample, the first so many by a hash of the pair.
     """
     c = columns.select("column_id", "table_id", "truth")
     a, b = c.toDF("left_id", "lt", "truth"), c.toDF("right_id", "rt", "truth")
@@ -73,8 +73,11 @@ def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int) ->
         rows = fuzzy.join(equi, ["left_id", "right_id"], "left").withColumn("relation", F.when(F.col("equi") == 1, "equi").otherwise("fuzzy"))
     else:
         rows = same.join(equi, ["left_id", "right_id"], "left").withColumn("relation", F.when(F.col("equi") == 1, "equi").otherwise("union"))
+    rows = rows.select("left_id", "right_id", "relation")
+    if most is None:
+        return rows
     order = F.md5(F.concat_ws("|", "left_id", "right_id"))
-    return rows.select("left_id", "right_id", "relation", order.alias("h")).orderBy("h", "left_id", "right_id").limit(most).drop("h")
+    return rows.withColumn("h", order).orderBy("h", "left_id", "right_id").limit(most).drop("h")
 
 
 def running_tokens(calls: DataFrame) -> DataFrame:

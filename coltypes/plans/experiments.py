@@ -209,7 +209,7 @@ def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("select t.header, t.label, estimated_tokens(t.label) n_tokens from (select collect_set(n_name) v from nation_view) s, lateral discover_types('n_name', s.v, 'text') t")
 
 
-def _pair_task(spark: SparkSession, sf_dir: str, name: str, task: str, most: int) -> DataFrame:
+def _pair_task(spark: SparkSession, sf_dir: str, name: str, task: str, most: int | None = None) -> DataFrame:
     p = prepared(spark, sf_dir, name)
     pairs = keep(downstream.truth_pairs(p.columns, p.values, task, most))
     rows = []
@@ -221,12 +221,12 @@ def _pair_task(spark: SparkSession, sf_dir: str, name: str, task: str, most: int
 
 def exp_join_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Do both sides of joinable column pairs get the same types?"""
-    return _pair_task(spark, sf_dir, "MIXED", "join", 910)
+    return _pair_task(spark, sf_dir, "MIXED", "join")
 
 
 def exp_match_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Do matching columns get the same types, with or without common values?"""
-    return _pair_task(spark, sf_dir, "OPS", "match", 1563)
+    return _pair_task(spark, sf_dir, "OPS", "match")
 
 
 def exp_components(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -58,6 +58,16 @@ def test_cascade_invariants(spark, tiny):
     assert fixed[0.99] <= fixed[0.75]
 
 
+def test_match_pairs_are_all_pairs(spark, tiny, monkeypatch):
+    monkeypatch.setattr(E, "METHODS", ("cascade",))
+    tables = {}
+    for c in E.prepared(spark, tiny, "OPS").columns.collect():
+        tables.setdefault(c["truth"], []).append(c["table_id"])
+    want = sum(x < y for own in tables.values() for x in own for y in own)
+    got = E.exp_match_pairs(spark, tiny).collect()
+    assert [r["n_pairs"] for r in got] == [want] and want > 1563
+
+
 def test_captured_columns_leave(spark):
     m = spark.createDataFrame([("a", "s"), ("b", "s")], "column_id string, seed_cluster string")
     ann = spark.createDataFrame([("a", "T")], "column_id string, label string")
