@@ -1,7 +1,8 @@
 """Quality classifier: text that compresses better with a dictionary of good text than with one of bad text is good.
 
 Training. ``per_label`` labelled documents of each label (the smallest by a hash of the id; the bound
-is a parameter) are split in two. Blocks of the first half train one zstandard dictionary per label.
+is a parameter) are split in two. Blocks of the first half, ``blocks_per_text`` at most of each text
+and evenly spaced from its first to its last, train one zstandard dictionary per label.
 On the second half a logistic calibration is fitted to what the two compressors give for the whole
 text: the size difference over the sum of sizes and over the raw size, the better ratio, and the
 length, with their products (a text of many repeats is small under either dictionary, which the
@@ -108,8 +109,8 @@ def _spread_blocks(s: Settings):
             labels, blocks = [], []
             for label, text in zip(batch.column("label").to_pylist(), common.texts_of(batch.column("text")), strict=True):
                 data = text.encode("utf-8", "surrogatepass")
-                starts = range(0, len(data), s.block)
-                for at in starts[:: max(1, len(starts) // s.blocks_per_text)][: s.blocks_per_text]:
+                n = -(-len(data) // s.block)
+                for at in np.linspace(0, n - 1, min(n, s.blocks_per_text)).astype(int) * s.block:
                     labels.append(label), blocks.append(data[at : at + s.block])
             yield pa.record_batch([pa.array(labels, pa.int32()), pa.array(blocks, pa.binary())], ["label", "block"])
 
