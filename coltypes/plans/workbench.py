@@ -82,16 +82,16 @@ def _pairs(p: DataFrame) -> DataFrame:
     return p.select("i", "j", F.round("sim", 6).alias("sim"))
 
 
-def _text_vectors(b: Bench) -> DataFrame:
-    return embed.text_columns(b.values(RELATIONAL))
+def _text_vectors(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return embed.text_columns(b.values(tables))
 
 
 def column_catalog(b: Bench) -> DataFrame:
     return profile.catalog(b.columns, b.cells)
 
 
-def column_values_orders(b: Bench) -> DataFrame:
-    return b.values(("orders",))
+def column_values_orders(b: Bench, tables=("orders",)) -> DataFrame:
+    return b.values(tables)
 
 
 def collection_stats(b: Bench) -> DataFrame:
@@ -117,8 +117,8 @@ def header_ngram_vectors(b: Bench) -> DataFrame:
     return c.join(norm, "header_key").select("header_key", "bucket", F.round(F.col("c") / F.col("norm"), 6).alias("w"))
 
 
-def text_column_vectors(b: Bench) -> DataFrame:
-    return _sparse(_text_vectors(b), "pos", "x")
+def text_column_vectors(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return _sparse(_text_vectors(b, tables), "pos", "x")
 
 
 def numeric_moments(b: Bench) -> DataFrame:
@@ -142,8 +142,8 @@ def numeric_pairs_090(b: Bench) -> DataFrame:
     return _pairs(neighbors.exact(embed.histograms(b.cells).withColumnRenamed("column_id", "id"), 0.9))
 
 
-def text_pairs_075(b: Bench) -> DataFrame:
-    return _pairs(neighbors.block(_text_vectors(b).withColumnRenamed("column_id", "id"), 0.75))
+def text_pairs_075(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return _pairs(neighbors.block(_text_vectors(b, tables).withColumnRenamed("column_id", "id"), 0.75))
 
 
 def embedding_pairs_030(b: Bench) -> DataFrame:
@@ -152,8 +152,8 @@ def embedding_pairs_030(b: Bench) -> DataFrame:
     return p.select(F.least("a", "b").alias("i"), F.greatest("a", "b").alias("j"), F.round("sim", 6).alias("sim"))
 
 
-def jaccard_pairs(b: Bench) -> DataFrame:
-    return _pairs(neighbors.jaccard(b.values(RELATIONAL, None), 0.01))
+def jaccard_pairs(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return _pairs(neighbors.jaccard(b.values(tables, None), 0.01))
 
 
 def seed_clusters_given(b: Bench) -> DataFrame:
@@ -161,24 +161,24 @@ def seed_clusters_given(b: Bench) -> DataFrame:
     return seeds.intersect(keyed, b.columns.select("column_id", F.col("kind").alias("value_cluster")))
 
 
-def stratified_sample_small_k(b: Bench) -> DataFrame:
-    return sampling.length_stratified(b.values(RELATIONAL), "column_id", 3)
+def stratified_sample_small_k(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return sampling.length_stratified(b.values(tables), "column_id", 3)
 
 
-def stratified_sample_large_k(b: Bench) -> DataFrame:
-    return sampling.length_stratified(b.values(RELATIONAL), "column_id", 40)
+def stratified_sample_large_k(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return sampling.length_stratified(b.values(tables), "column_id", 40)
 
 
-def stratified_sample_proportional(b: Bench) -> DataFrame:
-    return sampling.length_stratified(b.values(RELATIONAL), "column_id", 10, "proportional")
+def stratified_sample_proportional(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return sampling.length_stratified(b.values(tables), "column_id", 10, "proportional")
 
 
-def uniform_sample(b: Bench) -> DataFrame:
-    return sampling.uniform(b.values(RELATIONAL), "column_id", 10)
+def uniform_sample(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return sampling.uniform(b.values(tables), "column_id", 10)
 
 
-def frequency_sample(b: Bench) -> DataFrame:
-    return sampling.by_frequency(b.values(RELATIONAL), "column_id", 10)
+def frequency_sample(b: Bench, tables=RELATIONAL) -> DataFrame:
+    return sampling.by_frequency(b.values(tables), "column_id", 10)
 
 
 def dense_rows(b: Bench) -> DataFrame:
@@ -342,9 +342,16 @@ CHECKED = (
     redundancy, synthetic_truth, pair_agreement, pair_agreement_annotated, pair_similarity, overlap_filter, suspect_columns, stream_windows, stream_sessions,
 )
 
+#: What the SQL holds over RELATIONAL or orders only, here over all tables, long texts and keys included; no SQL, see the tests.
+WHOLE = {
+    "column_values_all_tables": column_values_orders, "text_column_vectors_all_tables": text_column_vectors, "text_pairs_075_all_tables": text_pairs_075, "jaccard_pairs_all_tables": jaccard_pairs,
+    "stratified_sample_small_k_all_tables": stratified_sample_small_k, "stratified_sample_large_k_all_tables": stratified_sample_large_k, "stratified_sample_proportional_all_tables": stratified_sample_proportional,
+    "uniform_sample_all_tables": uniform_sample, "frequency_sample_all_tables": frequency_sample,
+}
+
 
 def queries() -> dict[str, Query]:
-    def of(f) -> Query:
-        return lambda spark, sf_dir: f(Bench(spark, sf_dir))
+    def of(f, *tables) -> Query:
+        return lambda spark, sf_dir: f(Bench(spark, sf_dir), *tables)
 
-    return {f.__name__: of(f) for f in CHECKED}
+    return {f.__name__: of(f) for f in CHECKED} | {name: of(f, tuple(T.SCHEMAS)) for name, f in WHOLE.items()}

@@ -9,7 +9,7 @@ import pytest
 import __spark_entry__ as entry
 from coltypes.operators import cascade, metrics
 from coltypes.plans import experiments as E
-from coltypes.plans import registry
+from coltypes.plans import oracles, registry
 
 
 def rows_of(df):
@@ -30,6 +30,40 @@ def test_query_equals_sql(spark, tiny, name):
     assert got == want
 
 
+def test_queries_over_all_tables_equal_brute_force(spark, tiny):
+    """Values by DuckDB, everything else by plain Python."""
+    con = duckdb.connect()
+    for f in glob.glob(f"{tiny}/*.parquet"):
+        con.execute(f"create view {os.path.basename(f)[:-8]} as select * from '{f}'")
+    sets, counts = {}, {}
+    for c, kind, v, n in con.execute(f"select column_id, kind, value, count(*) from ({oracles.LONG}) group by all").fetchall():
+        sets.setdefault(c, set()).add(v)
+        if kind == "text":
+            counts.setdefault(c, {})[v] = n
+    run = lambda name: registry.queries()[f"{name}_all_tables"](spark, tiny).collect()
+    got = {(r["i"], r["j"]): r["sim"] for r in run("jaccard_pairs")}
+    want = {(i, j): len(a & b) / len(a | b) for i, a in sets.items() for j, b in sets.items() if i < j}
+    assert got == pytest.approx({k: v for k, v in want.items() if round(v, 6) >= 0.01}, abs=1e-6)
+    assert got["lineitem.l_orderkey", "orders.o_orderkey"] > 0.9
+    assert {(r["column_id"], r["value"]): r["n"] for r in run("column_values")} == {(c, v): n for c, own in counts.items() for v, n in own.items()}
+    for name, k in (("stratified_sample_small_k", 3), ("stratified_sample_large_k", 40), ("stratified_sample_proportional", 10), ("uniform_sample", 10), ("frequency_sample", 10)):
+        sample = {}
+        for r in run(name):
+            sample.setdefault(r["column_id"], []).append(r["value"])
+        assert {c: len(v) for c, v in sample.items()} == {c: min(k, len(v)) for c, v in counts.items()}
+        assert all(set(v) <= set(counts[c]) and len(set(v)) == len(v) for c, v in sample.items())
+        if name == "frequency_sample":
+            assert all(sorted((counts[c][x] for x in v), reverse=True) == sorted(counts[c].values(), reverse=True)[:k] for c, v in sample.items())
+    vectors = {}
+    for r in run("text_column_vectors"):
+        vectors.setdefault(r["column_id"], {})[r["pos"]] = r["x"]
+    assert set(vectors) == set(counts)
+    dot = lambda a, b: sum(x * b.get(p, 0) for p, x in a.items())
+    cosines = {(i, j): dot(a, b) / (dot(a, a) * dot(b, b)) ** 0.5 for i, a in vectors.items() for j, b in vectors.items() if i < j}
+    near = {(r["i"], r["j"]): r["sim"] for r in run("text_pairs_075")}
+    assert near == pytest.approx({p: x for p, x in cosines.items() if p in near}, abs=1e-4) and {p for p, x in cosines.items() if x > 0.7501} <= set(near)
+
+
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
