@@ -3,8 +3,9 @@
 Both tokenizer files cut a text into pieces and encode each piece by itself, so the ids of a text are
 the ids of its pieces one after another. Each distinct piece goes through the tokenizers library
 once per worker and is then looked up. The cut is made here only for texts whose characters are all
-below U+0250, with character classes taken from that range; any other text, and any file whose
-pieces are not known to be independent, goes through the library whole.
+below U+0250, with character classes taken from that range; any other text, any text that holds the
+string of an added token (which the library gives its own id), and any file whose pieces are not
+known to be independent, goes through the library whole.
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ import numpy as np
 import regex
 from tokenizers import Tokenizer
 
-#: Distinct pieces kept in a worker; what is new beyond that is encoded each time it comes.
-STORE = 1_000_000
+#: Distinct pieces kept in a worker (some 0.17 MB a thousand); what is new beyond that is encoded each time it comes.
+STORE = 400_000
 _LIMIT = 0x250
 _OTHER = re.compile(f"[^\\x00-{chr(_LIMIT - 1)}]|\\u0130")
 
@@ -46,15 +47,21 @@ def _patterns() -> dict[str, re.Pattern]:
 
 
 class Encoder:
-    """encode(text) -> ids, equal to those of the library for the whole text."""
+    """encode(text) -> ids, equal to those of the library for the whole text.
 
-    def __init__(self, path: str, store: int | None = None):
+    With ``special_as_text`` the strings of special tokens in a text are ordinary text, as the
+    library has it with ``encode_special_tokens``; by default they get their own ids.
+    """
+
+    def __init__(self, path: str, store: int | None = None, special_as_text: bool = False):
         self.store = store or STORE
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.library.encode_special_tokens = special_as_text
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        added = [t for t in spec.get("added_tokens") or [] if not (special_as_text and t.get("special"))]
+        self.added = re.compile("|".join(re.escape(t["content"]) for t in added), re.I) if added else None
         self.kind = self._kind(spec)
         self.cut = _patterns().get(self.kind)
         self._clear()
@@ -120,7 +127,7 @@ class Encoder:
             small = text
             if self.kind == "words":  # characters below U+0100 are composed already
                 small = (text if plain else unicodedata.normalize("NFC", text)).lower()
-            if self.cut is None or not plain and (_OTHER.search(text) or _OTHER.search(small)):
+            if self.cut is None or self._has_added(text) or not plain and (_OTHER.search(text) or _OTHER.search(small)):
                 out[k] = np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
                 continue
             rows.append(k)
@@ -129,6 +136,10 @@ class Encoder:
             out[k] = ids
         return out
 
+    def _has_added(self, text: str) -> bool:
+        """Letter case aside, since an added token may be matched after lower-casing."""
+        return self.added is not None and self.added.search(text) is not None
+
     def _looked_up(self, found: list[list[str]]) -> list[np.ndarray]:
         sizes = np.array([len(f) for f in found], np.int64)
         flat = list(chain.from_iterable(found))

@@ -5,11 +5,15 @@ distinct runs of ``width`` words (fewer words: the whole sequence as one; no wor
 linked with nothing). Two texts are linked when ``100 * |A and B| >= percent * |A or B|``; documents
 of one connected component form a group, named by its smallest doc_id.
 
-How. Texts with equal sets collapse to one key. Each key has a MinHash signature, cut into bands;
-keys that share a band are candidates, compared with hubs and in blocks (see ``linkage``) so that no
-bucket is expanded into rows of pairs. Two signatures are compared batch by batch and the pair is
-dropped once the posterior probability of the similarity falls below ``miss``; survivors are
-confirmed on their full sets.
+How. Texts with equal sets collapse to one key before anything is banded. Each key has a MinHash
+signature of 16-bit values, cut into bands; keys that share a band are candidates, compared in units
+of bounded size (see ``linkage``) so that no bucket is expanded into rows of pairs. First the
+signatures of a unit are compared batch by batch and a pair is dropped once the posterior
+probability of the similarity falls below ``miss``; only texts of keys with a pair left are fetched,
+and these pairs are confirmed on their full sets.
+
+Keys are 64-bit hashes of sets. A second hash shows whether two sets ever met in one key; then all
+is done again with other hashes, so a merge stands for equal sets.
 
 Defined cases: null text counts as empty; a row with a null doc_id links with nothing and stays;
 rows that repeat a doc_id are judged each by its own text, told apart by a 64-bit hash of it; of each
@@ -31,23 +35,23 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from coltypes.llm import common, wordhash
-from coltypes.llm.linkage import Tables, classes
+from coltypes.llm.linkage import Tables, classes, sifted, thinned
 
 
 @dataclass(frozen=True)
 class Settings:
     """width and percent define a link; the rest is how candidates are found.
 
-    With 64 bands of 8 rows a pair at similarity 0.8 shares no band with probability 8e-6.
+    With 32 bands of 5 rows a pair at similarity 0.8 shares no band with probability 3e-6.
     """
 
     width: int = 5
     percent: int = 80
-    bands: int = 64
-    rows: int = 8
+    bands: int = 32
+    rows: int = 5
     batch: int = 32
     miss: float = 1e-6
-    #: keys and shingles in one block of a unit
+    #: keys and shingles in one block; a unit compares two
     block_keys: int = 256
     block_shingles: int = 1 << 17
 
@@ -56,7 +60,9 @@ class Settings:
         return self.bands * self.rows
 
 
-SKETCH = "doc_id long, print long, n_shingles long, key long, signature binary, bands array<long>"
+SKETCH = "doc_id long, print long, n_shingles long, key long, check long, signature binary"
+#: Bytes of one value of a signature.
+VALUE = 2
 
 
 @lru_cache(maxsize=4)
@@ -67,7 +73,10 @@ def _family(size: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def signature(unique: np.ndarray, size: int) -> np.ndarray:
-    """The minimum of each of ``size`` hash functions over a set of 64-bit hashes."""
+    """The minimum of each of ``size`` hash functions over a set of 64-bit hashes, mixed to 16 bits.
+
+    Minima of large sets are all small, so their high bits alone tell nothing; the product spreads them.
+    """
     a, b = _family(size)
     low = (unique >> np.uint64(32)).astype(np.uint32)
     best = np.full(size, 0xFFFFFFFF, np.uint32)
@@ -75,41 +84,33 @@ def signature(unique: np.ndarray, size: int) -> np.ndarray:
         m = low[at : at + 256, None] * a
         m += b
         np.minimum(best, m.min(axis=0), out=best)
-    return best
+    return ((best * np.uint32(0x9E3779B1)) >> np.uint32(16)).astype("<u2")
 
 
 def _sets(batch: pa.RecordBatch, width: int) -> Iterator[np.ndarray]:
     raw, offsets = wordhash.utf8(batch.column("text"))
     hashes, _, _, at = wordhash.words(raw, offsets, wordhash.SPACE_ENDS)
-    for k in range(batch.num_rows):
-        yield np.unique(wordhash.shingles(hashes[at[k] : at[k + 1]], width))
-
+    for runs in wordhash.row_shingles(hashes, at, width):
+        yield wordhash.unique(runs)
 
-def _key(unique: np.ndarray) -> int:
-    return int.from_bytes(blake2b(unique.tobytes(), digest_size=8).digest(), "little", signed=True)
 
+def _keys(unique: np.ndarray, seed: int) -> tuple[int | None, int | None]:
+    """Two 64-bit hashes of a set, of a family given by the seed; none for the empty set."""
+    if not len(unique):
+        return None, None
+    both = blake2b(unique.tobytes(), digest_size=16, salt=seed.to_bytes(8, "little")).digest()
+    return tuple(int.from_bytes(both[k : k + 8], "little", signed=True) for k in (0, 8))
 
-def _sketcher(s: Settings):
-    salt = np.arange(s.bands, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
 
+def _sketcher(s: Settings, seed: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in common.pieces(whole, "text"):
-                n, keys, signatures, bands = [], [], [], []
-                for unique in _sets(batch, s.width):
-                    n.append(len(unique))
-                    if not len(unique):
-                        keys.append(None), signatures.append(None), bands.append(None)
-                        continue
-                    keys.append(_key(unique))
-                    full = signature(unique, s.size)
-                    signatures.append((full >> np.uint32(24)).astype(np.uint8).tobytes())
-                    parts = full.reshape(s.bands, s.rows).astype(np.uint64)
-                    h = salt.copy()
-                    for r in range(s.rows):
-                        h = wordhash.mix(h ^ parts[:, r])
-                    bands.append(h.view(np.int64))
-                yield pa.record_batch([batch.column("doc_id").cast(pa.int64()), batch.column("print"), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(signatures, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "print", "n_shingles", "key", "signature", "bands"])
+                sets = list(_sets(batch, s.width))
+                keys = [_keys(u, seed) for u in sets]
+                signatures = [signature(u, s.size).tobytes() if len(u) else None for u in sets]
+                columns = [pa.array([len(u) for u in sets], pa.int64()), *(pa.array([k[j] for k in keys], pa.int64()) for j in (0, 1)), pa.array(signatures, pa.binary())]
+                yield pa.record_batch([batch.column("doc_id").cast(pa.int64()), batch.column("print"), *columns], ["doc_id", "print", "n_shingles", "key", "check", "signature"])
 
     return run
 
@@ -118,10 +119,10 @@ def _sketcher(s: Settings):
 def least_matches(s: Settings) -> np.ndarray:
     """For 1, 2, ... batches: the fewest equal positions at which the posterior of similarity >= percent is above ``miss``.
 
-    Uniform prior on the similarity; the stored 8 bits also agree by chance once in 256.
+    Uniform prior on the similarity; the stored 16 bits also agree by chance once in 65536.
     """
     grid = (np.arange(2000) + 0.5) / 2000
-    same = grid + (1 - grid) / 256
+    same = grid + (1 - grid) / (1 << 8 * VALUE)
     out = []
     for n in range(s.batch, s.size + 1, s.batch):
         m = np.arange(n + 1)[:, None]
@@ -132,51 +133,29 @@ def least_matches(s: Settings) -> np.ndarray:
     return np.array(out)
 
 
-def survivors(one: np.ndarray, two: np.ndarray, least: np.ndarray, batch: int) -> np.ndarray:
-    """Rows of two signature tables whose pair stays likely through all batches."""
-    alive, found = np.arange(len(one)), np.zeros(len(one), np.int64)
-    for k, need in enumerate(least):
-        at = slice(k * batch, (k + 1) * batch)
-        found[alive] += (one[alive, at] == two[alive, at]).sum(axis=1)
-        alive = alive[found[alive] >= need]
-        if not len(alive):
-            break
-    return alive
-
-
-def _set_writer(s: Settings):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for batch in common.pieces(whole, "text"):
-                sets = list(_sets(batch, s.width))
-                yield pa.record_batch([pa.array([_key(u) if len(u) else None for u in sets], pa.int64()), pa.array([u.tobytes() for u in sets], pa.binary())], ["key", "members"])
-
-    return run
-
+def survivors(signatures: np.ndarray, sizes: np.ndarray, parts: np.ndarray, was: np.ndarray, s: Settings, least: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs (i < j) of different parts and units before, of fitting sizes, whose signatures stay likely through all batches."""
+    across, found = np.ascontiguousarray(signatures.T), []
+    for low in range(0, len(sizes), 256):
+        at = slice(low, low + 256)
+        fit = (parts[at, None] != parts) & (was[at, None] != was) & (np.arange(len(sizes)) > np.arange(len(sizes))[at, None])
+        fit &= 100 * np.minimum(sizes[at, None], sizes) >= s.percent * np.maximum(sizes[at, None], sizes)
+        equal = np.zeros(fit.shape, np.uint8)
+        for row in across[: s.batch]:
+            equal += row[at, None] == row
+        i, j = np.nonzero(fit & (equal >= least[0]))
+        same, i = equal[i, j].astype(np.int64), i + low
+        for k, need in enumerate(least[1:], 1):
+            for row in across[k * s.batch : (k + 1) * s.batch]:
+                same += row[i] == row[j]
+            alive = same >= need
+            i, j, same = i[alive], j[alive], same[alive]
+        found.append((i, j))
+    return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
-def _linked(one: np.ndarray, two: np.ndarray, percent: int) -> bool:
-    if 100 * min(len(one), len(two)) < percent * max(len(one), len(two)):
-        return False
-    both = len(np.intersect1d(one, two, assume_unique=True))
-    return 100 * both >= percent * (len(one) + len(two) - both)
 
-
-def _signatures(column: pa.Array, size: int) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, size)
-
-
-def _confirmer(s: Settings):
-    """Pairs (a, b) with both signatures and sets -> those that are linked."""
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        least = least_matches(s)
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            likely = survivors(_signatures(batch.column("sa"), s.size), _signatures(batch.column("sb"), s.size), least, s.batch)
-            rows = [k for k in likely.tolist() if _linked(*(np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in ("ma", "mb")), s.percent)]
-            yield batch.select(["a", "b"]).take(pa.array(rows, pa.int64()))
-
-    return run
+def _signatures(column: pa.ChunkedArray, size: int) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), "<u2").reshape(-1, size)
 
 
 def overlaps(sets: list[np.ndarray], columns: int = 4096) -> np.ndarray:
@@ -198,19 +177,11 @@ def overlaps(sets: list[np.ndarray], columns: int = 4096) -> np.ndarray:
     return total.astype(np.int64)
 
 
-def spanning(sets: list[np.ndarray], signatures: np.ndarray, parts: np.ndarray, s: Settings, least: np.ndarray) -> list[tuple[int, int]]:
-    """Linked pairs that join all that is linked between the parts of a unit, one pair for each join."""
-    n = len(sets)
+def spanning(sets: list[np.ndarray], pairs: tuple[np.ndarray, np.ndarray], parts: np.ndarray, s: Settings) -> list[list[int]]:
+    """Of likely pairs the linked ones, as groups of places whose parts they join into one."""
+    i, j = pairs
     sizes = np.array([len(x) for x in sets])
-    i, j = np.triu_indices(n, 1)
-    fit = (parts[i] != parts[j]) & (100 * np.minimum(sizes[i], sizes[j]) >= s.percent * np.maximum(sizes[i], sizes[j]))
-    i, j = i[fit], j[fit]
-    out = [np.zeros(0, np.int64)]
-    for at in range(0, len(i), 8192):
-        out.append(at + survivors(signatures[i[at : at + 8192]], signatures[j[at : at + 8192]], least, s.batch))
-    likely = np.concatenate(out)
-    i, j = i[likely], j[likely]
-    if len(i) > 4 * n:
+    if len(i) > 4 * len(sets):
         both = overlaps(sets)[i, j]
     else:
         both = np.array([len(np.intersect1d(sets[x], sets[y], assume_unique=True)) for x, y in zip(i, j, strict=True)], np.int64)
@@ -223,24 +194,45 @@ def spanning(sets: list[np.ndarray], signatures: np.ndarray, parts: np.ndarray,
             x = root[x]
         return x
 
-    joined = []
+    joined: set[int] = set()
     for x, y in zip(i[sure].tolist(), j[sure].tolist(), strict=True):
         p, q = top(int(parts[x])), top(int(parts[y]))
         if p != q:
             root[max(p, q)] = min(p, q)
-            joined.append((x, y))
-    return joined
+            joined |= {x, y}
+    groups: dict[int, list[int]] = {}
+    for x in sorted(joined):
+        groups.setdefault(top(int(parts[x])), []).append(x)
+    return list(groups.values())
 
 
-def _unit(s: Settings):
+LIKELY = "unit long, key long, part long, was long, n long, doc_id long, print long, signature binary"
+
+
+def _likely(s: Settings):
+    """The rows of a unit that have a likely pair."""
     def run(group: pa.Table) -> pa.Table:
-        group = group.combine_chunks()
-        keys = group.column("key").to_pylist()
-        sets = [np.frombuffer(m, np.uint64) for m in group.column("members").to_pylist()]
-        signatures = np.frombuffer(b"".join(group.column("signature").to_pylist()), np.uint8).reshape(-1, s.size)
-        found = spanning(sets, signatures, group.column("part").to_numpy(), s, least_matches(s))
-        pairs = [(min(keys[x], keys[y]), max(keys[x], keys[y])) for x, y in found]
-        return pa.table({"a": pa.array([p[0] for p in pairs], pa.int64()), "b": pa.array([p[1] for p in pairs], pa.int64())})
+        signatures = _signatures(group.column("signature"), s.size)
+        pairs = survivors(signatures, *(group.column(c).to_numpy() for c in ("n", "part", "was")), s, least_matches(s))
+        return group.take(pa.array(np.unique(np.concatenate(pairs))))
+
+    return run
+
+
+def _confirmed(s: Settings):
+    """Links that join the parts of a unit, from its likely rows with their texts; a row that came twice counts once."""
+    def run(group: pa.Table) -> pa.Table:
+        keys = group.column("key").to_numpy()
+        keys, first = np.unique(keys, return_index=True)
+        group = group.take(pa.array(first))
+        sets = [u for batch in group.select(["text"]).to_batches() for u in _sets(batch, s.width)]
+        parts = group.column("part").to_numpy()
+        sizes = np.array([len(u) for u in sets])
+        pairs = survivors(_signatures(group.column("signature"), s.size), sizes, parts, group.column("was").to_numpy(), s, least_matches(s))
+        groups = spanning(sets, pairs, parts, s)
+        a = [keys[g[0]] for g in groups for _ in g[1:]]
+        b = [keys[x] for g in groups for x in g[1:]]
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return run
 
@@ -251,61 +243,66 @@ def _print(docs: DataFrame) -> Column:
 
 
 class _Search:
-    """The tables of one run."""
+    """The tables of one run: sketch has all rows, keys one row for each set with the least document that has it."""
 
     def __init__(self, docs: DataFrame, s: Settings):
         self.spark, self.s, self.tables = common.prepare(docs.sparkSession), s, Tables("near")
         self.docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        self.sketch = self.keep(self.docs.withColumn("print", _print(self.docs)).mapInArrow(_sketcher(s), SKETCH), "sketch")
-
-    def keep(self, df: DataFrame, tag: str) -> DataFrame:
-        return self.tables.keep(df, tag)
+        self.docs = self.docs.withColumn("print", _print(self.docs))
+        met, seed = 1, 0
+        while met:
+            self.tables.drop(docs)
+            self.sketch = self.tables.keep(self.docs.mapInArrow(_sketcher(s, seed), SKETCH), "sketch")
+            met = self._collapse()
+            seed += 1
+
+    def _collapse(self) -> int:
+        """Make keys; returns how many keys stand for more than one set."""
+        rows = self.sketch.where("key is not null and doc_id is not null").groupBy("key")
+        keys = rows.agg(F.min(F.struct("doc_id", "print")).alias("least"), F.min("n_shingles").alias("n"), F.first("signature").alias("signature"), F.min("check").alias("lo"), F.max("check").alias("hi"))
+        self.keys, total = self.tables.keep_with(keys.select("key", "n", "least.*", "signature", "lo", "hi"), "keys", met=F.expr("if(lo <> hi, 1, 0)"))
+        return total["met"]
 
     def buckets(self) -> DataFrame:
-        """(band, key, n) of all bands that hold two texts of possible lengths at least."""
-        rows = self.sketch.where("key is not null and doc_id is not null").select(F.explode("bands").alias("band"), "key", F.col("n_shingles").alias("n"))
-        shared = rows.groupBy("band").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("band")
-        return self.keep(rows.join(shared, "band").distinct(), "buckets")
-
-    def full(self, buckets: DataFrame) -> DataFrame:
-        """(key, signature, members) of all keys that are candidates."""
-        keys = buckets.select("key").distinct()
-        owned = self.sketch.where("doc_id is not null").select("key", "doc_id", "signature").join(keys, "key", "left_semi")
-        owned = self.keep(owned.groupBy("key").agg(F.min(F.struct("doc_id", "signature")).alias("o")).select("key", "o.*"), "owners")
-        texts = self.docs.join(owned.select("doc_id").distinct().hint("merge"), "doc_id", "left_semi")
-        sets = texts.mapInArrow(_set_writer(self.s), "key long, members binary").where("key is not null").dropDuplicates(["key"])
-        return self.keep(sets.join(owned.select("key", "signature"), "key"), "sets")
+        """(band, key, n) of all bands that hold two keys."""
+        size = VALUE * self.s.rows
+        bands = F.array(*[F.xxhash64(F.lit(k), F.substring("signature", k * size + 1, size)) for k in range(self.s.bands)])
+        shared = self.keys.select(F.explode(bands).alias("band")).groupBy("band").agg(F.count("*").alias("c")).where("c > 1").select("band")
+        shared, total = self.tables.keep_with(shared, "shared", rows=F.lit(1))
+        rows = thinned(self.keys.select(F.explode(bands).alias("band"), "key", "n"), "band", shared, total["rows"])
+        return self.tables.keep(rows.join(shared, "band", "left_semi"), "buckets")
+
+    def unit_links(self, rows: DataFrame) -> DataFrame:
+        """Links (a, b) of units (unit, key, part, was): signatures first, then the texts of what stays likely."""
+        rows, total = self.tables.keep_with(rows, "units", rows=F.lit(1))
+        owners = thinned(self.keys, "key", rows, total["rows"]).select("key", "n", "doc_id", "print", "signature")
+        signed = rows.join(owners, "key").select(*[c.split()[0] for c in LIKELY.split(", ")])
+        likely, total = self.tables.keep_with(signed.groupBy("unit").applyInArrow(_likely(self.s), LIKELY), "likely", rows=F.lit(1))
+        texts = thinned(self.docs, "doc_id", likely, total["rows"])
+        told = texts.join(likely, ["doc_id", "print"]).dropDuplicates(["doc_id", "print", "unit"])
+        told = told.select("unit", "key", "part", "was", "signature", "text")
+        return self.tables.keep(told.groupBy("unit").applyInArrow(_confirmed(self.s), "a long, b long").distinct(), "links")
 
     def classes(self) -> DataFrame | None:
-        s, buckets = self.s, self.buckets()
-        full = self.full(buckets)
-
-        def hub_links(pairs: DataFrame) -> DataFrame:
-            left, right = (full.select(F.col("key").alias(k), F.col("signature").alias(f"s{k}"), F.col("members").alias(f"m{k}")) for k in "ab")
-            return self.keep(pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb", "ma", "mb").mapInArrow(_confirmer(s), "a long, b long"), "links")
-
-        def unit_links(rows: DataFrame) -> DataFrame:
-            return self.keep(rows.join(full, "key").groupBy("unit").applyInArrow(_unit(s), "a long, b long").distinct(), "unit-links")
-
-        possible = f"100 * least(x.n, y.n) >= {s.percent} * greatest(x.n, y.n)"
-        return classes(buckets, hub_links, unit_links, self.tables, s.block_keys, s.block_shingles, possible)
+        return classes(self.buckets(), self.unit_links, self.tables, self.s.block_keys, self.s.block_shingles)
 
 
 def _judged(docs: DataFrame, settings: Settings) -> DataFrame:
     """The rows of ``groups`` with the hash of their text, print."""
     run = _Search(docs, settings)
     part = run.classes()
-    keyed = run.sketch.where("doc_id is not null and key is not null").groupBy("key").agg(F.min(F.struct("doc_id", "print")).alias("least"))
+    keyed = run.keys.select("key", F.struct("doc_id", "print").alias("least"))
     if part is None:
         roots = keyed.select("key", F.col("least").alias("root"))
     else:
         keyed = keyed.join(part, "key", "left").withColumn("part", F.coalesce("part", "key"))
         roots = keyed.select("key", "part").join(keyed.groupBy("part").agg(F.min("least").alias("root")), "part").select("key", "root")
+    roots = run.tables.keep(roots, "roots")  # stored, so that a key with many rows can be split in the join
     rows = run.sketch.select("doc_id", "print", "n_shingles", "key")
     root = F.when(F.col("doc_id").isNotNull(), F.col("root"))  # null for a row that links with nothing
     kept = F.coalesce((F.col("doc_id") == root["doc_id"]) & (F.col("print") == root["print"]), F.lit(True))
     out = rows.join(roots, "key", "left").select("doc_id", "print", "n_shingles", F.coalesce(root["doc_id"], F.col("doc_id")).alias("component_id"), kept.alias("kept"))
-    out = common.stored(out, "near-result")[0]
+    out = out.checkpoint()
     run.tables.drop(out)
     return out
 
@@ -317,5 +314,8 @@ def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
 
 def keep_one(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     """The documents without all but one of each group, in the columns that came."""
-    gone = _judged(docs, settings).where("not kept").select(F.col("doc_id").alias("__gone"), F.col("print").alias("__print")).distinct()
-    return docs.join(gone, (docs["doc_id"].cast("long") == gone["__gone"]) & (_print(docs) == gone["__print"]), "left_anti")
+    gone = _judged(docs, settings).where("not kept").select("doc_id", "print").distinct()
+    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), _print(docs).alias("print"), F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("row"))
+    maybe, others = sifted(rows, "print", gone, gone.count())
+    kept = maybe.join(gone, ["doc_id", "print"], "left_anti").select("row.*")
+    return kept if others is None else kept.union(others.select("row.*"))

@@ -189,15 +189,10 @@ def near_classes(prints: DataFrame, settings: Settings = Settings()) -> DataFram
     shared = keyed.groupBy("band").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("band")
     buckets = tables.keep(keyed.join(shared, "band"), "buckets")
 
-    near = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= settings.radius
-
-    def hub_links(pairs: DataFrame) -> DataFrame:
-        return tables.keep(pairs.where(near), "near")
-
     def unit_links(units: DataFrame) -> DataFrame:
         return tables.keep(units.groupBy("unit").applyInArrow(_unit(settings), "a long, b long").distinct(), "unit-near")
 
-    part = classes(buckets.withColumn("n", F.lit(1)), hub_links, unit_links, tables, 1024, 1024)
+    part = classes(buckets.withColumn("n", F.lit(1)), unit_links, tables, 1024, 1024)
     if part is None:
         roots = owned.select("key", F.col("least").alias("class_id"))
     else:

@@ -13,7 +13,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from coltypes.llm import bpe, common, decontam, langid, licenses, neardup, packing, pii, quality, queries, records, secrets, simhash, wordhash
+from coltypes.llm import bpe, common, decontam, langid, licenses, linkage, neardup, packing, pii, quality, queries, records, secrets, simhash, wordhash
 
 SF = "/root/testdata/sf0.01"
 ODD = [(1, None), (2, ""), (3, "   \n\t "), (4, "one"), (4, "one"), (None, "no id here at all"), (5, "é中 ﬃ İ x" * 50), (6, "word " * 60000)]
@@ -138,9 +138,40 @@ def test_near_duplicates_with_clashing_ids(spark):
     assert sorted((r["doc_id"], r["text"]) for r in got) == [(0, one), (1, alone)]
 
 
+def test_signatures_tell_large_sets_apart():
+    """Minima of large sets are small; the values kept still differ where sets do, and bands agree as often as they should."""
+    rng, s = np.random.default_rng(3), neardup.Settings()
+    shared, own = (rng.integers(0, 1 << 63, n, dtype=np.uint64) for n in (4000, 16000))
+    one, two = (neardup.signature(np.concatenate([shared, x]), s.size) for x in np.split(own, 2))
+    assert abs((one == two).mean() - 0.2) < 0.12  # 4000 of 20000
+    pairs = neardup.survivors(np.array([one, two, one]), np.full(3, 12000), np.arange(3), np.arange(3), s, neardup.least_matches(s))
+    assert [x.tolist() for x in pairs] == [[0], [2]]
+    assert not len(neardup.survivors(np.array([one, one]), np.full(2, 9), np.arange(2), np.zeros(2), s, neardup.least_matches(s))[0])
+
+
+def test_colliding_keys_are_noticed(spark):
+    """Two sets in one 64-bit key count, so that all is done again with other hashes; those of another seed differ."""
+    run = object.__new__(neardup._Search)
+    run.tables, rows = linkage.Tables("t"), [(1, 1, 3, 5, 7, b"s"), (2, 1, 3, 5, 7, b"s"), (3, 1, 3, 6, 7, b"s"), (4, 1, 3, 6, 8, b"s"), (5, 1, 0, None, None, None)]
+    run.sketch = spark.createDataFrame(rows, neardup.SKETCH)
+    assert run._collapse() == 1 and run.keys.count() == 2
+    run.tables.drop(run.sketch)
+    one = np.arange(9, dtype=np.uint64)
+    assert len({*neardup._keys(one, 0), *neardup._keys(one, 1)}) == 4 and neardup._keys(one[:0], 0) == (None, None)
+
+
+def test_filters_hold_no_wanted_row_back(spark):
+    rows, wanted = spark.range(5000).selectExpr("id as k", "1 as __x"), spark.range(0, 5000, 50).selectExpr("id as k")
+    maybe, others = linkage.sifted(rows, "k", wanted, 100)
+    got = {r["k"] for r in maybe.collect()}
+    assert set(range(0, 5000, 50)) <= got and len(got) < 1500
+    assert got.isdisjoint(r["k"] for r in others.collect()) and others.count() == 5000 - len(got) and maybe.columns == rows.columns
+    assert linkage.sifted(rows, "k", wanted, 1 << 40) == (rows, None)
+
+
 def test_pruning_bound():
     least = neardup.least_matches(neardup.Settings())
-    assert (np.diff(least) > 0).all() and least[-1] < 0.8 * 512
+    assert (np.diff(least) > 0).all() and least[-1] < 0.8 * neardup.Settings().size
     a, b = np.arange(60, dtype=np.uint64), np.arange(20, 80, dtype=np.uint64)
     assert neardup.overlaps([a, b])[0, 1] == 40
 
@@ -189,17 +220,28 @@ def test_quality_odd_rows(spark):
 @pytest.mark.parametrize("name", [queries.BYTES, queries.WORDS])
 def test_encoder_equals_library(name, rows):
     e, library = bpe.Encoder(queries.tokenizer(name)), Tokenizer.from_file(queries.tokenizer(name))
-    library.encode_special_tokens = True
-    for text in [*list(rows.values())[:150], *(t or "" for _, t in ODD[:-1]), "it's  'll\xa0 x\x85y ²3 don't", "<|endoftext|> a", "  lead", "tail \n\n "]:
+    specials = ["<|endoftext|> a", "see <|endoftext|> here", "A<|STARTOFTEXT|>b<|startoftext|>c <|endoftext|><|endoftext|>", "x" * 99 + " <|endoftext|>"]
+    for text in [*specials, *list(rows.values())[:150], *(t or "" for _, t in ODD[:-1]), "it's  'll\xa0 x\x85y ²3 don't", "  lead", "tail \n\n "]:
         assert e.encode(text).tolist() == library.encode(text, add_special_tokens=False).ids
 
 
-@given(st.text(st.characters(max_codepoint=0x260, exclude_categories=["Cs"]), max_size=40))
+LIBRARY = {name: Tokenizer.from_file(queries.tokenizer(name)) for name in (queries.BYTES, queries.WORDS)}
+PART = st.text(st.characters(max_codepoint=0x260, exclude_categories=["Cs"]), max_size=20) | st.sampled_from(["<|endoftext|>", "<|startoftext|>", "<|endof", "text|>", "<|"])
+
+
+@given(st.lists(PART, max_size=4).map("".join))
 @settings(max_examples=150, deadline=None)
 def test_encoder_on_any_text(text):
-    for name in (queries.BYTES, queries.WORDS):
-        e = bpe.encoder(queries.tokenizer(name))
-        assert e.encode(text).tolist() == e.library.encode(text, add_special_tokens=False).ids
+    """Against the library as it comes from the file, with the strings of its special tokens mixed in."""
+    for name, library in LIBRARY.items():
+        assert bpe.encoder(queries.tokenizer(name)).encode(text).tolist() == library.encode(text, add_special_tokens=False).ids
+
+
+def test_special_tokens_as_text():
+    e, library = bpe.Encoder(queries.tokenizer(queries.BYTES), special_as_text=True), Tokenizer.from_file(queries.tokenizer(queries.BYTES))
+    library.encode_special_tokens = True
+    for text in ("a <|endoftext|> b", "<|endoftext|>"):
+        assert e.encode(text).tolist() == library.encode(text, add_special_tokens=False).ids
 
 
 def test_encoder_with_a_full_store(monkeypatch, rows):
