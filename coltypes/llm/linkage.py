@@ -156,21 +156,19 @@ def later_units(live: DataFrame, hubs: DataFrame, was: DataFrame, tables: Tables
 
 
 def classes(buckets: DataFrame, unit_links: Callable[[DataFrame], DataFrame], tables: Tables, most_keys: int, most_size: int) -> DataFrame | None:
-    """(key, part) of the keys with a link; None where no bucket holds two keys.
+    """(key, part) of the keys with a link; None without buckets.
 
-    ``buckets``: (band, key, n), each key once in a band. ``unit_links`` gives links (a, b) that join
+    ``buckets``: (band, key, n), each key once in a band, bands of one key left out. ``unit_links`` gives links (a, b) that join
     all that is linked among the keys of each unit, from rows (unit, key, part, was); keys of one part
     or of one ``was`` need not be compared again. A unit holds about ``2 * most_keys`` keys whose n
     sum to ``2 * most_size``; one key may be larger.
     """
-    hubs = buckets.groupBy("band").agg(F.min("key").alias("hub"), F.count("*").alias("c")).where("c > 1").select("band", "hub")
-    hubs, some = tables.keep_with(hubs, "hubs", rows=F.lit(1))
+    hubs, some = tables.keep_with(buckets.groupBy("band").agg(F.min("key").alias("hub")), "hubs", rows=F.lit(1))
     if not some["rows"]:
         return None
-    live = tables.keep(buckets.join(hubs, "band", "left_semi"), "live")
-    rows, was = first_units(live, hubs, tables, most_keys, most_size)
+    rows, was = first_units(buckets, hubs, tables, most_keys, most_size)
     part = components(unit_links(rows), tables)
-    parted = tables.keep(live.join(part, "key", "left").select("band", "key", "n", F.coalesce("part", "key").alias("part")), "parted")
+    parted = tables.keep(buckets.join(part, "key", "left").select("band", "key", "n", F.coalesce("part", "key").alias("part")), "parted")
     open_ = tables.keep(parted.groupBy("band").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo < hi").select("band"), "open")
     left, some = tables.keep_with(parted.join(open_, "band", "left_semi"), "left", rows=F.lit(1))
     if not some["rows"]:

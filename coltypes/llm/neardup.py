@@ -302,7 +302,7 @@ def _judged(docs: DataFrame, settings: Settings) -> DataFrame:
     root = F.when(F.col("doc_id").isNotNull(), F.col("root"))  # null for a row that links with nothing
     kept = F.coalesce((F.col("doc_id") == root["doc_id"]) & (F.col("print") == root["print"]), F.lit(True))
     out = rows.join(roots, "key", "left").select("doc_id", "print", "n_shingles", F.coalesce(root["doc_id"], F.col("doc_id")).alias("component_id"), kept.alias("kept"))
-    out = out.checkpoint()
+    out = common.settled(out)
     run.tables.drop(out)
     return out
 
