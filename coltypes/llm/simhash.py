@@ -47,8 +47,8 @@ def fingerprints(column: pa.Array, width: int) -> np.ndarray:
     raw, offsets = wordhash.utf8(column)
     hashes, _, _, at = wordhash.words(raw, offsets, wordhash.SPACE_ENDS)
     out = np.zeros(len(at) - 1, np.uint64)
-    for k in range(len(out)):
-        terms, counts = np.unique(wordhash.shingles(hashes[at[k] : at[k + 1]], width), return_counts=True)
+    for k, runs in enumerate(wordhash.row_shingles(hashes, at, width)):
+        terms, counts = wordhash.counted(runs)
         if len(terms):
             bits = np.unpackbits(terms.view(np.uint8).reshape(-1, 8), axis=1).astype(np.float32)
             weight = np.sqrt(counts).astype(np.float32)
@@ -199,7 +199,7 @@ def near_classes(prints: DataFrame, settings: Settings = Settings()) -> DataFram
         joined = owned.join(part, "key", "left").withColumn("part", F.coalesce("part", "key"))
         roots = joined.select("key", "part").join(joined.groupBy("part").agg(F.min("least").alias("class_id")), "part").select("key", "class_id")
     out = rows.join(roots.withColumnRenamed("key", "fingerprint"), "fingerprint", "left").select("doc_id", "fingerprint", F.when(F.col("doc_id").isNotNull(), F.col("class_id")).alias("class_id"))
-    out = common.stored(out, "simhash-classes")[0]
+    out = common.settled(out)
     tables.drop(out)
     common.remove(spark, path)
     return out

@@ -113,15 +113,24 @@ def shingles(hashes: np.ndarray, width: int) -> np.ndarray:
     return mix(total)
 
 
+def _first(values: np.ndarray) -> np.ndarray:
+    """Whether each of sorted values is the first of its kind."""
+    new = np.ones(len(values), bool)
+    np.not_equal(values[1:], values[:-1], out=new[1:])
+    return new
+
+
 def unique(values: np.ndarray) -> np.ndarray:
     """Sorted distinct values; faster than numpy's own for arrays of a text's size."""
     values = np.sort(values)
-    if len(values) < 2:
-        return values
-    new = np.empty(len(values), bool)
-    new[0] = True
-    np.not_equal(values[1:], values[:-1], out=new[1:])
-    return values[new]
+    return values[_first(values)]
+
+
+def counted(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct values and how often each occurs."""
+    values = np.sort(values)
+    at = np.flatnonzero(_first(values))
+    return values[at], np.diff(at, append=len(values))
 
 
 def row_shingles(hashes: np.ndarray, at: np.ndarray, width: int) -> Iterator[np.ndarray]:
