@@ -119,10 +119,11 @@ class Damaged(ValueError):
 
 def read(source, most: int = 4 << 20) -> Iterator[list[bytes]]:
     """Lists of payloads, checked, from an open file; about ``most`` bytes at a time."""
-    rest = b""
+    rest, want = b"", most
     while True:
-        data = source.read(most)
+        data = source.read(want)
         last, rest, at, heads, bodies, sums = not data, rest + data, 0, [], [], []
+        want = most
         while len(rest) - at >= 12:
             (n,) = struct.unpack_from("<Q", rest, at)
             if n > 1 << 40:
@@ -130,6 +131,7 @@ def read(source, most: int = 4 << 20) -> Iterator[list[bytes]]:
             if len(rest) - at < n + 16:
                 if last:
                     raise Damaged("cut off")
+                want = max(most, n + 16 - (len(rest) - at))  # the rest of a long frame at once
                 break
             heads.append(rest[at : at + 8])
             bodies.append(rest[at + 12 : at + 12 + n])
@@ -198,7 +200,9 @@ def write(docs: DataFrame, tokenizer: str, end_id: int, folder: str, files: int
         store.move(f"{base}/.{data}.{attempt}", f"{base}/{data}")
         yield pa.record_batch([pa.array([k]), pa.array([f"{folder}/{data}"]), pa.array([f"{folder}/{offsets}"]), pa.array([n_docs], pa.int64()), pa.array([n_tokens], pa.int64())], ["file", "data", "offsets", "n_docs", "n_tokens"])
 
-    return common.stored(rows.mapInArrow(run, MANIFEST).where("n_docs > 0"), "records-manifest")[0]
+    listed = folder.rstrip("/") + "/manifest.parquet"
+    rows.mapInArrow(run, MANIFEST).where("n_docs > 0").write.parquet(listed)
+    return spark.read.schema(MANIFEST).parquet(listed)
 
 
 ROWS = "doc_id long, start long, n_tokens long, ids_crc32 long"
@@ -211,8 +215,8 @@ def read_back(manifest: DataFrame) -> DataFrame:
     """
     spark: SparkSession = manifest.sparkSession
     listed, before, rows = sorted(manifest.collect(), key=lambda r: r["file"]), 0, []
-    for r in listed:
-        rows.append((r["file"], r["data"], before))
+    for place, r in enumerate(listed):
+        rows.append((place, r["data"], before))
         before += r["n_tokens"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -228,5 +232,5 @@ def read_back(manifest: DataFrame) -> DataFrame:
                             start += len(ids)
                         yield pa.record_batch([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    frame = spark.createDataFrame(rows, "file long, data string, before long")
-    return frame.repartition(max(1, len(rows)), "file").mapInArrow(run, ROWS)
+    frame = spark.createDataFrame(rows, "place int, data string, before long")
+    return frame.repartitionById(max(1, len(rows)), F.col("place")).mapInArrow(run, ROWS)
