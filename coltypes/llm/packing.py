@@ -224,3 +224,26 @@ def assign(items: DataFrame, settings: Settings = Settings(cut=False)) -> DataFr
 
     common.prepare(items.sparkSession)
     return items.selectExpr("cast(item_id as long) item_id", "cast(tokens as long) tokens", "cast(loss as long) loss").mapInArrow(run, "item_id long, sequence_id long, offset long, tokens long, loss long")
+
+
+COUNTED = "conv_id long, tokens long, loss long"
+
+
+def conversation_items(conversations: DataFrame, tokenizer: str, end_id: int, bearing: str = "assistant", store: int | None = None) -> DataFrame:
+    """(item_id, tokens, loss): one item per conversation; every turn ends with the end id, and turns of one role bear loss.
+
+    Turns are counted where they lie and only counts are summed, so a conversation may have any
+    number of turns. Null texts count as empty; turns without a conv_id are one item.
+    """
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = bpe.encoder(tokenizer, store)
+        for batch in (piece for whole in batches for piece in common.pieces(whole, "text")):
+            tokens = np.array([len(ids) + 1 for ids in encoder.encode_all(common.texts_of(batch.column("text")))], np.int64)
+            loss = np.where(batch.column("bears").to_numpy(zero_copy_only=False), tokens, 0)
+            yield pa.record_batch([batch.column("conv_id"), pa.array(tokens), pa.array(loss)], ["conv_id", "tokens", "loss"])
+
+    common.prepare(conversations.sparkSession)
+    bears = F.coalesce(F.col("role") == bearing, F.lit(False)).alias("bears")
+    turns = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("text").cast("string").alias("text"), bears)
+    counted = turns.mapInArrow(run, COUNTED)
+    return counted.groupBy(F.col("conv_id").alias("item_id")).agg(F.sum("tokens").alias("tokens"), F.sum("loss").alias("loss"))
