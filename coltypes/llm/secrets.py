@@ -39,9 +39,10 @@ ASSIGN_LEAST = 6
 ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
 HEX = re.compile(r"[0-9a-f]{24,}")
 
-IDENT = re.compile(r"""(?ai:\b(?:client_?id|user_?name|user|login|account_?id|key_?id|access_?key_?id))["']?\x20*[:=]\x20*["']?([A-Za-z0-9_.@-]{3,128})""")
-WEAK = re.compile(r"[A-Za-z0-9+/_-]{20,256}={0,2}")
-ENDPOINT = re.compile(r"""(?ai:\b(?:https?|postgres(?:ql)?|mysql|mongodb|redis|amqp|s3|ftp)://[^\s"'<>]{3,512}|\b(?:host|endpoint|server|url)["']?\x20*[:=]\x20*["']?[A-Za-z0-9][A-Za-z0-9.-]{2,252}(?::\d{2,5})?|\b[a-z0-9][a-z0-9-]{0,62}(?:\.[a-z0-9-]{1,63}){1,8}:\d{2,5}\b)""")
+# No part has a greatest length, so a long one is one span; the bounds of a bare host are those of host names (fixed values).
+IDENT = re.compile(r"""(?ai:\b(?:client_?id|user_?name|user|login|account_?id|key_?id|access_?key_?id))["']?\x20*[:=]\x20*["']?([A-Za-z0-9_.@-]{3,})""")
+WEAK = re.compile(r"[A-Za-z0-9+/_-]{20,}={0,2}")
+ENDPOINT = re.compile(r"""(?ai:\b(?:https?|postgres(?:ql)?|mysql|mongodb|redis|amqp|s3|ftp)://[^\s"'<>]{3,}|\b(?:host|endpoint|server|url)["']?\x20*[:=]\x20*["']?[A-Za-z0-9][A-Za-z0-9.-]{2,}(?::\d{2,5})?|\b[a-z0-9][a-z0-9-]{0,62}(?:\.[a-z0-9-]{1,63}){1,8}:\d{2,5}\b)""")
 
 
 @dataclass(frozen=True)
