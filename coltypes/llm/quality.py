@@ -1,9 +1,8 @@
 """Quality classifier: text that compresses better with a dictionary of good text than with one of bad text is good.
 
 Training. ``per_label`` labelled documents of each label (the smallest by a hash of the id; the bound
-is a parameter) are split in two. Blocks of the first half, ``blocks_per_text`` at most of each text
-and evenly spaced from its first to its last, train one zstandard dictionary per label.
-On the second half a logistic calibration is fitted to what the two compressors give for the whole
+is a parameter) are split in two. All blocks of the first half's whole texts train one zstandard
+dictionary per label. On the second half a logistic calibration is fitted to what the two compressors give for the whole
 text: the size difference over the sum of sizes and over the raw size, the better ratio, and the
 length, with their products (a text of many repeats is small under either dictionary, which the
 ratio tells apart).
@@ -34,7 +33,6 @@ from coltypes.llm import common
 class Settings:
     per_label: int = 6000
     block: int = 512
-    blocks_per_text: int = 8
     dictionary_bytes: int = 112 << 10
     level: int = 1
     threshold: float = 0.3
@@ -103,14 +101,13 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float) -> np.ndarray:
     return w
 
 
-def _spread_blocks(s: Settings):
+def _blocks(s: Settings):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             labels, blocks = [], []
             for label, text in zip(batch.column("label").to_pylist(), common.texts_of(batch.column("text")), strict=True):
                 data = text.encode("utf-8", "surrogatepass")
-                n = -(-len(data) // s.block)
-                for at in np.linspace(0, n - 1, min(n, s.blocks_per_text)).astype(int) * s.block:
+                for at in range(0, len(data), s.block):
                     labels.append(label), blocks.append(data[at : at + s.block])
             yield pa.record_batch([pa.array(labels, pa.int32()), pa.array(blocks, pa.binary())], ["label", "block"])
 
@@ -142,7 +139,7 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Callable[[Column], Column] =
     sample = known.where("label = 0").orderBy(*order).limit(s.per_label).union(known.where("label = 1").orderBy(*order).limit(s.per_label))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(sample), "doc_id")
     half = F.pmod(F.xxhash64("doc_id", F.lit("half")), F.lit(2))
-    blocks = texts.where(half == 0).select("label", "text").mapInArrow(_spread_blocks(s), "label int, block binary").distinct().toPandas()
+    blocks = texts.where(half == 0).select("label", "text").mapInArrow(_blocks(s), "label int, block binary").distinct().toPandas()
     model = Model(prior, s)
     kinds = {label: sorted(bytes(b) for b in blocks.loc[blocks["label"] == label, "block"]) for label in (0, 1)}
     model.good, model.bad = _dictionary(kinds[1], s), _dictionary(kinds[0], s)
