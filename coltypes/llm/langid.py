@@ -282,8 +282,13 @@ def fit(docs: DataFrame, learn: Callable[[Column], Column] = lambda doc_id: F.li
     """Train on a bounded sample of the documents whose id passes ``learn``."""
     common.prepare(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text")).where("doc_id is not null and lang is not null and text is not null").where(learn(F.col("doc_id")))
-    order = W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = rows.select("doc_id", "lang").withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= settings.per_language).select("doc_id", "rank")
+    # a share of each language by hash, some more than are wanted, so that what is ranked doesn't grow with the rows
+    wanted = settings.per_language + 6 * settings.per_language**0.5
+    share = rows.groupBy("lang").agg((wanted / F.count("*")).alias("share"))
+    draw = F.xxhash64("doc_id")
+    some = rows.select("doc_id", "lang").join(share, "lang").where(F.pmod(draw, F.lit(1 << 30)) < F.col("share") * (1 << 30))
+    order = W.partitionBy("lang").orderBy(draw, "doc_id")
+    ids = some.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= settings.per_language).select("doc_id", "rank")
     sample = rows.join(F.broadcast(ids), "doc_id").orderBy("lang", "rank").toPandas()
     counted: dict[str, list[str]] = {}
     left: dict[str, list[str]] = {}
