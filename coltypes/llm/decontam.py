@@ -4,10 +4,11 @@ Texts become words (ASCII letters and digits in lower case, bytes of other scrip
 punctuation separates). Runs of ``least`` words are seeds. Seeds of the benchmark are joined with
 the running hashes of every whole document; a document and an item with a shared seed are tiled:
 the longest match of unmarked words is marked in both, again and again, down to ``least`` words
-(matches come from running Karp-Rabin hashes that are extended word by word). The coverage is the
+(matches are runs of equal Karp-Rabin hashes along a diagonal). The coverage is the
 share of the item's words under tiles; at ``threshold`` or more the document is contaminated.
 
-The benchmark is taken in blocks of bounded size, each broadcast in turn against all documents.
+The benchmark is taken in blocks of bounded size, each broadcast in turn against all documents; the
+driver holds one block at a time, and each block costs a pass over the documents.
 
 Defined cases: null or word-less texts match nothing; an item of fewer than ``least`` words is one
 seed of its full length; equal items are all reported; a repeated document row is reported each time.
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -34,43 +36,62 @@ class Settings:
     block_bytes: int = 16 << 20
 
 
+def _runs(item: np.ndarray, text: np.ndarray, size: int, most: int = 1 << 20) -> list[tuple[int, int, int]]:
+    """(length, start in text, start in item) of all maximal runs of equal words of ``size`` and more.
+
+    Seeds that meet are taken about ``most`` at a time and joined along their diagonals, so words that
+    repeat cost time, but no memory beyond the runs.
+    """
+    seeds, running = wordhash.shingles(item, size), wordhash.shingles(text, size)
+    order = np.argsort(seeds, kind="stable")
+    low, high = (np.searchsorted(seeds[order], running, side) for side in ("left", "right"))
+    hit = np.flatnonzero(high > low)
+    counts = (high - low)[hit]
+    done = np.cumsum(counts)
+    parts, first = [np.zeros((3, 0), np.int64)], 0
+    while first < len(hit):
+        last = max(first + 1, int(np.searchsorted(done, (done[first - 1] if first else 0) + most, "right")))
+        n = counts[first:last]
+        t = np.repeat(hit[first:last], n)
+        p = order[np.repeat(low[hit[first:last]] - np.cumsum(n) + n, n) + np.arange(len(t))]
+        parts.append(_joined(t - p, t, t + 1))
+        first = last
+    diagonal, start, end = _joined(*np.concatenate(parts, axis=1))
+    return list(zip((end - start + size - 1).tolist(), start.tolist(), (start - diagonal).tolist(), strict=True))
+
+
+def _joined(diagonal: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Stretches [start, end) on diagonals, those that meet made one."""
+    order = np.lexsort((start, diagonal))
+    diagonal, start, end = diagonal[order], start[order], end[order]
+    new = np.ones(len(start), bool)
+    new[1:] = (diagonal[1:] != diagonal[:-1]) | (start[1:] != end[:-1])
+    at = np.flatnonzero(new)
+    return np.array([diagonal[at], start[at], end[np.append(at[1:], len(end)) - 1] if len(at) else start[at]])
+
+
 def tiles(item: np.ndarray, text: np.ndarray, least: int) -> list[tuple[int, int, int]]:
-    """(start in item, start in text, length): greedy tiles of two sequences of word hashes, longest first, then leftmost."""
+    """(start in item, start in text, length): greedy tiles of two sequences of word hashes, longest first, then leftmost in the text."""
     size = min(least, len(item), len(text))
     if size == 0:
         return []
-    seeds = {}
-    for at, h in enumerate(wordhash.shingles(item, size).tolist()):
-        seeds.setdefault(h, []).append(at)
-    running = wordhash.shingles(text, size).tolist()
-    begun = [(p, t) for t, h in enumerate(running) for p in seeds.get(h, ())]
-    item_l, text_l = item.tolist(), text.tolist()
-    free_item, free_text, out = bytearray(b"\x01") * len(item), bytearray(b"\x01") * len(text), []
-    while begun:
-        best, alive, reach = [], [], {}
-        longest = size
-        for p, t in begun:
-            n, end = 0, reach.get(t - p, 0)
-            if t < end:  # inside a match of the same diagonal
-                alive.append((p, t))
-                continue
-            while p + n < len(item_l) and t + n < len(text_l) and free_item[p + n] and free_text[t + n] and item_l[p + n] == text_l[t + n]:
-                n += 1
-            if n < size:
-                continue
-            alive.append((p, t))
-            reach[t - p] = t + n
-            if n > longest:
-                longest, best = n, []
-            if n == longest:
-                best.append((p, t))
-        if not best:
-            break
-        for p, t in best:
-            if all(free_item[p : p + longest]) and all(free_text[t : t + longest]):
-                free_item[p : p + longest] = free_text[t : t + longest] = bytes(longest)
-                out.append((p, t, longest))
-        begun = alive
+    heap = [(-n, t, p) for n, t, p in _runs(item, text, size)]
+    heapify(heap)
+    used_item, used_text, left, out = bytearray(len(item)), bytearray(len(text)), len(item), []
+    while heap and left >= size:
+        n, t, p = heappop(heap)
+        n = -n
+        used = [x | y for x, y in zip(used_item[p : p + n], used_text[t : t + n], strict=True)]
+        if not any(used):
+            used_item[p : p + n] = used_text[t : t + n] = b"\x01" * n
+            left -= n
+            out.append((p, t, n))
+            continue
+        begun = 0
+        for k in [*(k for k, u in enumerate(used) if u), n]:  # what is still free of it comes again
+            if k - begun >= size:
+                heappush(heap, (begun - k, t + begun, p + begun))
+            begun = k + 1
     return out
 
 
@@ -130,16 +151,14 @@ class Block:
         return out
 
 
-def blocks(benchmark: DataFrame, s: Settings) -> list[Block]:
-    """The benchmark in blocks; each block is bounded, their number follows the benchmark."""
+def blocks(benchmark: DataFrame, s: Settings) -> Iterator[Block]:
+    """The benchmark in blocks, one after another; each is bounded, their number follows the benchmark."""
     rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))
     total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = max(1, -(-total // s.block_bytes))
-    out = []
     for k in range(n):
         part = rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k).toPandas().sort_values(["item_id", "text"])
-        out.append(Block.of([None if i != i else int(i) for i in part["item_id"]], [t if isinstance(t, str) else None for t in part["text"]], s.least))
-    return out
+        yield Block.of([None if i != i else int(i) for i in part["item_id"]], [t if isinstance(t, str) else None for t in part["text"]], s.least)
 
 
 FOUND = "doc_id long, item_id long, coverage double, n_tiles int, covered_words int"
