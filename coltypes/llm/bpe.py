@@ -173,11 +173,11 @@ def _latin(text: str) -> bool:
     return True
 
 
-_READY: dict[tuple, Encoder] = {}
+READY: dict[tuple, Encoder] = {}
 
 
 def encoder(path: str, store: int | None = None) -> Encoder:
     """One encoder for each file, store size and worker."""
-    if (path, store) not in _READY:
-        _READY[path, store] = Encoder(path, store)
-    return _READY[path, store]
+    if (path, store) not in READY:
+        READY[path, store] = Encoder(path, store)
+    return READY[path, store]

@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import re
+import sys
 import tempfile
 import uuid
 
@@ -13,8 +17,8 @@ from pyspark.sql import functions as F
 from coltypes.shipping import ship
 
 #: Rows and bytes in one Arrow batch sent to a Python worker; what a worker holds at once follows from it.
-BATCH_ROWS = 2000
-BATCH_BYTES = 8 << 20
+BATCH_ROWS = 1000
+BATCH_BYTES = 2 << 20
 
 
 def prepare(spark: SparkSession) -> SparkSession:
@@ -24,9 +28,21 @@ def prepare(spark: SparkSession) -> SparkSession:
         now = spark.conf.get(key, None)
         if now is None or not str(now).isdigit() or not 0 < int(now) <= most:
             spark.conf.set(key, str(most))
+    # small tables become few files: each file that is written forks the executor's JVM where Hadoop's native library is missing
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.parallelismFirst", "false")
     return spark
 
 
+def lean() -> None:
+    """Called by an operator in a worker: free what the encoders of another one keep in it, as workers are used again."""
+    held = sys.modules.get("coltypes.llm.bpe")
+    if held is not None and held.READY:
+        held.READY.clear()
+        gc.collect()
+        with contextlib.suppress(OSError, AttributeError):
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder in spark.checkpoint.dir; only where that is unset and all runs on one machine (tests) a folder of this machine."""
     folder = spark.conf.get("spark.checkpoint.dir", None)

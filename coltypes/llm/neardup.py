@@ -104,6 +104,7 @@ def _keys(unique: np.ndarray, seed: int) -> tuple[int | None, int | None]:
 
 def _sketcher(s: Settings, seed: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.lean()
         for whole in batches:
             for batch in common.pieces(whole, "text"):
                 sets = list(_sets(batch, s.width))

@@ -40,7 +40,7 @@ class Settings:
     window: int = 1024
     cut: bool = True
     #: distinct pieces of text that a worker remembers the ids of
-    store: int = 400_000
+    store: int = 150_000
 
     @property
     def capacity(self) -> np.ndarray:

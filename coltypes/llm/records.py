@@ -169,7 +169,7 @@ MANIFEST = "file long, data string, offsets string, n_docs long, n_tokens long"
 
 
 def write(docs: DataFrame, tokenizer: str, end_id: int, folder: str, files: int | None = None) -> DataFrame:
-    """Encode, append the end id and write; returns the manifest, one row per file in ascending order of ids."""
+    """Encode, append the end id and write; returns the manifest, one row per file in ascending order of ids, which the driver holds."""
     spark = common.prepare(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     files = files or max(1, rows.rdd.getNumPartitions())
@@ -200,9 +200,8 @@ def write(docs: DataFrame, tokenizer: str, end_id: int, folder: str, files: int
         store.move(f"{base}/.{data}.{attempt}", f"{base}/{data}")
         yield pa.record_batch([pa.array([k]), pa.array([f"{folder}/{data}"]), pa.array([f"{folder}/{offsets}"]), pa.array([n_docs], pa.int64()), pa.array([n_tokens], pa.int64())], ["file", "data", "offsets", "n_docs", "n_tokens"])
 
-    listed = folder.rstrip("/") + "/manifest.parquet"
-    rows.mapInArrow(run, MANIFEST).where("n_docs > 0").write.parquet(listed)
-    return spark.read.schema(MANIFEST).parquet(listed)
+    written = rows.mapInArrow(run, MANIFEST).where("n_docs > 0").collect()
+    return spark.createDataFrame(sorted(written), MANIFEST)
 
 
 ROWS = "doc_id long, start long, n_tokens long, ids_crc32 long"
