@@ -21,7 +21,7 @@ import regex
 from tokenizers import Tokenizer
 
 #: Distinct pieces kept in a worker (some 0.17 MB a thousand); what is new beyond that is encoded each time it comes.
-STORE = 200_000
+STORE = 800_000
 _LIMIT = 0x250
 _OTHER = re.compile(f"[^\\x00-{chr(_LIMIT - 1)}]|\\u0130")
 
