@@ -36,7 +36,7 @@ def candidates_by_index(index: DataFrame, values: DataFrame, wanted: DataFrame)
     return valueindex.lookup(index, mine, "column_id").select("column_id", "label", F.lit("index").alias("source"))
 
 
-def requests(candidates: DataFrame, columns: DataFrame, values: DataFrame, k: int = 10, context_rows: int = 3) -> DataFrame:
+def requests(candidates: DataFrame, columns: DataFrame, values: DataFrame, k: int = 10, rows: DataFrame | None = None, context_rows: int = 3) -> DataFrame:
     """One row per column and source with candidates: header, kind, sample, table context, candidates."""
     lists = candidates.groupBy("column_id", "source").agg(F.array_sort(F.collect_set("label")).alias("candidates"))
     asked = lists.select("column_id").distinct()
@@ -44,8 +44,7 @@ def requests(candidates: DataFrame, columns: DataFrame, values: DataFrame, k: in
     sample = sampling.length_stratified(mine, "column_id", k).groupBy("column_id").agg(F.array_sort(F.collect_list("value")).alias("sample"))
     about = columns.select("column_id", "table_id", "header", "kind").join(asked, "column_id", "left_semi")
     near = columns.join(about.select("table_id").distinct(), "table_id", "left_semi")
-    rows = context.table_rows(near, values.join(near.select("column_id"), "column_id", "left_semi"), context_rows)
-    shown = rows.select("table_id", F.array_join(F.transform("heads", lambda c: F.concat(c["header"], F.lit(": "), F.array_join(c["values"], " | "))), "; ").alias("table"))
+    shown = context.table_rows(near, rows, context_rows).select("table_id", context.shown(F.col("heads")).alias("table"))
     return lists.join(about, "column_id").join(sample, "column_id", "left").join(shown, "table_id", "left").withColumn("sample", F.coalesce("sample", F.array().cast("array<string>")))
 
 
@@ -75,4 +74,4 @@ def aggregate(checked: DataFrame, phase: str, threshold: float | None) -> DataFr
 
 
 def calls_of(checked: DataFrame, phase: str) -> DataFrame:
-    return checked.select(F.lit("annotation").alias("role"), F.lit(phase).alias("phase"), F.col("column_id").alias("target"), "prompt", "response", "in_tokens", "out_tokens")
+    return checked.select(F.lit("annotation").alias("role"), F.lit(phase).alias("phase"), F.col("column_id").alias("target"), "source", "prompt", "response", "in_tokens", "out_tokens")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -23,6 +23,8 @@ class CascadeConfig:
     min_size: int = 2
     context_rows: int = 3
     view: str = "both"  # both, name, value
+    name_slack: float = 0.0  # headers cluster at a threshold lower by this, for noisy ones
+    method: str = "auto"  # how similar pairs are found, see neighbors.pairs
 
 
 @dataclass
@@ -42,12 +44,15 @@ class Prepared:
         self.columns = keep(collection.columns)
         cells = collection.cells
         self.values = keep(profile.column_values(cells))
-        self.views = seeds.views(self.columns, self.values, cells, min(config.thresholds), seeds.SeedConfig(bins=config.bins), keep=keep)
+        self.rows = None if collection.rows is None else keep(collection.rows)
+        low = min(config.thresholds)
+        wanted = seeds.SeedConfig(low - config.name_slack, low, config.bins, method=config.method)
+        self.views = seeds.views(self.columns, self.values, cells, wanted, keep=keep)
         self._levels: dict[float, DataFrame] = {}
 
     def level(self, tau: float) -> DataFrame:
         if tau not in self._levels:
-            m = seeds.at_level(self.views, tau, seeds.SeedConfig(tau, tau, min_size=self.config.min_size))
+            m = seeds.at_level(self.views, tau, seeds.SeedConfig(tau - self.config.name_slack, tau, min_size=self.config.min_size))
             self._levels[tau] = keep(m if self.config.view == "both" else seeds.single_view(m, self.config.view))
         return self._levels[tau]
 
@@ -60,7 +65,7 @@ def capture(membership: DataFrame, annotations: DataFrame) -> tuple[DataFrame, D
 
 
 def _checked(p: Prepared, candidates: DataFrame, model: TypeModel) -> DataFrame:
-    asked = annotate.requests(candidates, p.columns, p.values, p.config.discovery.k, p.config.context_rows)
+    asked = annotate.requests(candidates, p.columns, p.values, p.config.discovery.k, p.rows, p.config.context_rows)
     return keep(annotate.closed_set(asked, model))
 
 
@@ -79,7 +84,7 @@ def _rest(p: Prepared, r: Result, tau: float, index: DataFrame | None, model: Ty
 
 def fixed(collection: Collection, tau: float, model: TypeModel = RuleModel(), annotator: TypeModel | None = None, config: CascadeConfig = CascadeConfig(), prepared: Prepared | None = None) -> Result:
     """One threshold: seeds, discovery, propagation, closed-set checks of the rest by all three sources."""
-    p = prepared or Prepared(collection, CascadeConfig((tau,), config.discovery, config.bins, config.min_size, config.context_rows, config.view))
+    p = prepared or Prepared(collection, replace(config, thresholds=(tau,)))
     inside = p.level(tau).where("seed_cluster is not null").select("column_id", "seed_cluster")
     got = discover.run(inside, p.columns, p.values, model, config=config.discovery)
     index = valueindex.extend(None, p.values.join(inside, "column_id"), got.types)

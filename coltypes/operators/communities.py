@@ -13,6 +13,8 @@ from collections import defaultdict
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from coltypes.operators.state import shared_dir
+
 #: Pairs that the driver may hold; beyond, rounds on the cluster decide the same communities.
 DRIVER_PAIRS = 200_000
 
@@ -41,9 +43,7 @@ def rounds(nodes: DataFrame, pairs: DataFrame, min_size: int = 2) -> DataFrame:
     """
     spark = nodes.sparkSession
     if spark.sparkContext.getCheckpointDir() is None:
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="coltypes-"))
+        spark.sparkContext.setCheckpointDir(shared_dir(spark))
     member = pairs.select(F.col("i").alias("c"), F.col("j").alias("m")).union(pairs.select("j", "i")).union(nodes.select("id", "id"))
     member = member.join(nodes.toDF("m", "w", "first"), "m")
     rank = member.groupBy("c").agg(F.sum("w").alias("size"), F.min("first").alias("lead")).where(F.col("size") >= min_size)

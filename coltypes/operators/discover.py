@@ -86,29 +86,31 @@ def run(membership: DataFrame, columns: DataFrame, values: DataFrame, model: Typ
     spark, known = columns.sparkSession, list(known or [])
     asked = requests(membership, columns, values, config)
     own = values.join(membership.select("column_id", "seed_cluster"), "column_id").select("seed_cluster", "value")
-    near: dict[str, list[str]] = {}
+    near: dict[str, list[tuple]] = {}  # the sets of clusters that share a value, by cluster
+    typed: dict[tuple, dict[str, None]] = {}  # the labels of their members so far
     held: dict[str, set[str]] = {}
     if config.candidates == "index" and asked:
-        for r in valueindex.sharing(own).collect():
-            near.setdefault(r["a"], []).append(r["b"])
+        for r in valueindex.edges(own, "seed_cluster", ["value"]).select("seed_cluster", "e1", "e2").toLocalIterator():
+            near.setdefault(r["seed_cluster"], []).append((r["e1"], r["e2"]))
         if index is not None:
             for r in valueindex.lookup(index, own).collect():
                 held.setdefault(r["seed_cluster"], set()).add(r["label"])
-    found: dict[str, list[str]] = {}
     types, calls = [], []
     for at in range(0, len(asked), max(1, config.wave)):
         batch = asked[at : at + max(1, config.wave)]
         for r in batch:
             if config.candidates == "index":
-                hits = set(held.get(r["cluster"], ())).union(*(found.get(n, ()) for n in near.get(r["cluster"], ())))
+                hits = set(held.get(r["cluster"], ())).union(*(typed.get(e, ()) for e in near.get(r["cluster"], ())))
                 r["candidates"] = sorted(hits) or [label for kind, label in known if kind == r["kind"]]
+                r["source"] = "index" if hits else "fallback"
             elif config.candidates == "all":
                 r["candidates"] = [label for _, label in known]
         answers = [model.propose(r) for r in batch] if len(batch) == 1 else _on_executors(spark, batch, model)
         for r, labels in zip(batch, answers, strict=True):
             prompt, response = prompts.discovery(r), prompts.answer(labels)
-            calls.append(("discovery", phase, r["cluster"], prompt, response, tokens.estimate(prompt), tokens.estimate(response)))
-            found[r["cluster"]] = labels
+            calls.append(("discovery", phase, r["cluster"], r.get("source", config.candidates), prompt, response, tokens.estimate(prompt), tokens.estimate(response)))
+            for e in near.get(r["cluster"], ()):
+                typed.setdefault(e, {}).update(dict.fromkeys(labels))
             for label in labels:
                 types.append((r["cluster"], r["kind"], label))
                 if (r["kind"], label) not in known:

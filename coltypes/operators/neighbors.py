@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coltypes.functions.exprs import cosine
+from coltypes.operators.valueindex import edges
 
 
 def _collapsed(vectors: DataFrame, digits: int = 9) -> tuple[DataFrame, DataFrame]:
@@ -26,14 +27,15 @@ def exact(vectors: DataFrame, tau: float) -> DataFrame:
     return a.join(b, F.col("i") < F.col("j")).select("i", "j", cosine(F.col("a"), F.col("b")).alias("sim")).where(F.round("sim", 6) >= tau)
 
 
-def block(vectors: DataFrame, tau: float, size: int = 1024) -> DataFrame:
-    """(i, j, sim) by products of vector blocks: every pair of blocks is one group of at most two blocks."""
-    n = max(1, -(-vectors.count() // size))
-    held = vectors.select("id", F.transform("vec", lambda x: x.cast("double")).alias("vec"), F.pmod(F.xxhash64("id"), F.lit(n)).cast("int").alias("b"))
-    sides = F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda o: F.struct(F.least("b", o).alias("x"), F.greatest("b", o).alias("y")))
-    dealt = held.select("id", "vec", "b", F.explode(sides).alias("g")).select("id", "vec", "b", "g.x", "g.y")
+#: Up to so many vectors all pairs are multiplied; beyond, hyperplanes pick candidates.
+ALL_PAIRS = 20_000
+#: Vectors of one side of a product.
+SIDE = 1024
+
 
-    def products(t: pa.Table) -> pa.Table:
+def _products(tau: float):
+    """Of a group of one or two blocks, the pairs at ``tau`` or above; between blocks only where there are two."""
+    def run(t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
         ids, blocks = np.array(t.column("id").to_pylist(), dtype=object), t.column("b").to_numpy()
         m = np.array(t.column("vec").to_pylist(), dtype=float).reshape(len(ids), -1)
@@ -48,7 +50,51 @@ def block(vectors: DataFrame, tau: float, size: int = 1024) -> DataFrame:
         i, j = np.where(swap, j, i), np.where(swap, i, j)
         return pa.table({"i": pa.array(i, pa.string()), "j": pa.array(j, pa.string()), "sim": pa.array(sim[p, q], pa.float64())})
 
-    return dealt.withColumn("id", F.col("id").cast("string")).groupBy("x", "y").applyInArrow(products, "i string, j string, sim double")
+    return run
+
+
+def _multiplied(held: DataFrame, tau: float, size: int, *by: str) -> DataFrame:
+    """(i, j, sim) of vectors (id, vec, c) that agree in ``by``, where c is how many agree: c / size blocks, each pair of them one group."""
+    n = F.ceil(F.col("c") / size).cast("long")
+    placed = held.withColumn("n", n).withColumn("b", F.pmod(F.xxhash64("id"), F.col("n")).cast("int"))
+    sides = F.transform(F.sequence(F.lit(0).cast("long"), F.col("n") - 1), lambda o: F.struct(F.least("b", o).alias("x"), F.greatest("b", o).alias("y")))
+    dealt = placed.select(*by, F.col("id").cast("string").alias("id"), "vec", "b", F.explode(sides).alias("g")).select(*by, "id", "vec", "b", "g.x", "g.y")
+    return dealt.groupBy(*by, "x", "y").applyInArrow(_products(tau), "i string, j string, sim double")
+
+
+def _doubles(vectors: DataFrame) -> DataFrame:
+    return vectors.select("id", F.transform("vec", lambda x: x.cast("double")).alias("vec"))
+
+
+def block(vectors: DataFrame, tau: float, size: int = SIDE) -> DataFrame:
+    """(i, j, sim) by products of vector blocks: every pair of blocks is one group of at most two blocks."""
+    return _multiplied(_doubles(vectors).withColumn("c", F.lit(max(1, vectors.count()))), tau, size)
+
+
+def hyperplanes(vectors: DataFrame, tau: float, recall: float = 0.95, size: int = SIDE, seed: int = 7) -> DataFrame:
+    """(i, j, sim) of vectors that lie on the same sides of random planes in some table, checked exactly.
+
+    A pair at angle t agrees in a bit with probability 1 - t / pi. Bits grow with the logarithm of the
+    number of vectors, so buckets stay small, and there are as many tables as a pair just at ``tau``
+    needs to be found with probability ``recall``. A large bucket is multiplied in blocks.
+    """
+    n, width = vectors.count(), len((vectors.select("vec").first() or [[0.0]])[0])
+    bits = max(2, int(np.ceil(np.log2(max(4, n / (size / 4))))))
+    agree = (1 - np.arccos(min(1.0, max(-1.0, tau))) / np.pi) ** bits
+    tables = max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-min(agree, 1 - 1e-9)))))
+
+    def sketch(batches):
+        planes = np.random.default_rng(seed).standard_normal((tables * bits, width)).T
+        place = 1 << np.arange(bits)
+        for b in batches:
+            m = np.array(b.column("vec").to_pylist(), dtype=float).reshape(-1, width)
+            keys = ((m @ planes > 0).reshape(len(m), tables, bits) * place).sum(axis=2)
+            yield pa.record_batch([b.column("id"), b.column("vec"), pa.array(list(keys), pa.list_(pa.int64()))], ["id", "vec", "keys"])
+
+    held = _doubles(vectors).withColumn("id", F.col("id").cast("string"))
+    keyed = held.mapInArrow(sketch, "id string, vec array<double>, keys array<bigint>").select("id", "vec", F.posexplode("keys").alias("table", "key"))
+    sizes = keyed.groupBy("table", "key").agg(F.count("*").alias("c")).where("c > 1")
+    return _multiplied(keyed.join(sizes, ["table", "key"]), tau, size, "table", "key").dropDuplicates(["i", "j"])
 
 
 def lsh(vectors: DataFrame, tau: float, tables: int = 8, width: float = 0.5) -> DataFrame:
@@ -61,20 +107,31 @@ def lsh(vectors: DataFrame, tau: float, tables: int = 8, width: float = 0.5) ->
     return rows.where(F.round("sim", 6) >= tau)
 
 
-def pairs(vectors: DataFrame, tau: float, method: str = "block") -> DataFrame:
-    return {"exact": exact, "block": block, "lsh": lsh}[method](vectors, tau)
+def pairs(vectors: DataFrame, tau: float, method: str = "auto") -> DataFrame:
+    """auto: all pairs up to ALL_PAIRS vectors, hyperplanes beyond."""
+    if method == "auto":
+        method = "block" if vectors.count() <= ALL_PAIRS else "hyperplanes"
+    return {"exact": exact, "block": block, "hyperplanes": hyperplanes, "lsh": lsh}[method](vectors, tau)
 
 
 def jaccard(values: DataFrame, tau: float) -> DataFrame:
-    """(i, j, sim): columns whose value sets overlap by Jaccard ``tau``; joins on values, so disjoint pairs never meet."""
-    v = values.select("column_id", "value")
+    """(i, j, sim): columns whose value sets overlap by Jaccard ``tau``; disjoint pairs never meet.
+
+    Values held by the same columns are one edge with a count, so a pair is made once for each
+    different set of columns and not for each value.
+    """
+    v = values.select("column_id", "value").distinct()
     sizes = v.groupBy("column_id").agg(F.count("*").alias("size"))
-    a, b = v.withColumnRenamed("column_id", "i"), v.withColumnRenamed("column_id", "j")
-    both = a.join(b, "value").where("i < j").groupBy("i", "j").agg(F.count("*").alias("both"))
+    held = edges(v, "column_id", ["value"])
+    a, b = held.withColumnRenamed("column_id", "i"), held.select(F.col("column_id").alias("j"), "e1", "e2")
+    both = a.join(b, ["e1", "e2"]).where("i < j").groupBy("i", "j").agg(F.sum("n_values").alias("both"))
     out = both.join(sizes.toDF("i", "si"), "i").join(sizes.toDF("j", "sj"), "j")
     return out.select("i", "j", (F.col("both") / (F.col("si") + F.col("sj") - F.col("both"))).alias("sim")).where(F.round("sim", 6) >= tau)
 
 
-def theta_overlap(values: DataFrame) -> DataFrame:
-    """(column_id, sketch): a mergeable sketch per column whose intersections estimate overlaps at any scale."""
-    return values.groupBy("column_id").agg(F.expr("theta_sketch_agg(value)").alias("sketch"))
+def theta_overlap(values: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(i, j, overlap): estimated Jaccard of given column pairs, from one mergeable sketch of some 100 kB at most per column."""
+    held = values.groupBy("column_id").agg(F.expr("theta_sketch_agg(value, 14)").alias("s"))
+    both = pairs.select("i", "j").join(held.toDF("i", "s"), "i").join(held.toDF("j", "t"), "j")
+    shared, total = F.expr("theta_sketch_estimate(theta_intersection(s, t))"), F.expr("theta_sketch_estimate(theta_union(s, t, 14))")
+    return both.select("i", "j", F.coalesce(F.try_divide(shared, total), F.lit(0.0)).alias("overlap"))

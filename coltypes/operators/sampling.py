@@ -67,11 +67,15 @@ def by_value_clusters(values: DataFrame, key: str, k: int = 10, features: int =
     return one.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k).select(key, F.col("v.value").alias("value"), "cluster")
 
 
-def dense_rows(df: DataFrame, n: int = 10, seed: int = 0, by: list[str] | None = None) -> DataFrame:
-    """n rows of a table (of each group) with the most filled cells; equals by a hash of the row."""
+def dense_rows(df: DataFrame, n: int = 10, seed: int = 0, by: list[str] | None = None, place: str | None = None) -> DataFrame:
+    """n rows of a table (of each group) with the most filled cells; equals by a hash of the row. ``place`` names a column for their order.
+
+    For groups Spark keeps n rows of each in a task before it shuffles them.
+    """
     filled = sum((F.when(F.col(c).isNotNull(), 1).otherwise(0) for c in df.columns), F.lit(0))
     draw = F.md5(F.concat_ws("|", *[F.coalesce(F.col(c).cast("string"), F.lit("")) for c in df.columns], F.lit(str(seed))))
     if not by:
         return df.orderBy(filled.desc(), draw).limit(n)
     order = W.partitionBy(*by).orderBy(filled.desc(), draw)
-    return df.withColumn("__place", F.row_number().over(order)).where(F.col("__place") <= n).drop("__place")
+    ranked = df.withColumn("__place", F.row_number().over(order)).where(F.col("__place") <= n)
+    return ranked.withColumnRenamed("__place", place) if place else ranked.drop("__place")

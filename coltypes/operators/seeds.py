@@ -20,7 +20,7 @@ class SeedConfig:
     tau_value: float = 0.9
     bins: int = 100
     min_size: int = 2
-    method: str = "block"
+    method: str = "auto"
 
 
 @dataclass
@@ -44,18 +44,18 @@ def _nodes(vectors: DataFrame, columns: DataFrame) -> tuple[DataFrame, DataFrame
     return nodes, joined.select("column_id", "node"), joined.where("column_id = node").select(F.col("node").alias("id"), "kind", "vec")
 
 
-def views(columns: DataFrame, values: DataFrame, cells: DataFrame, tau: float, config: SeedConfig = SeedConfig(), encoder: Encoder | None = None, keep=lambda df: df.cache()) -> Views:
-    """All pairs at ``tau`` or above of header, text-value and numeric vectors."""
+def views(columns: DataFrame, values: DataFrame, cells: DataFrame, config: SeedConfig = SeedConfig(), encoder: Encoder | None = None, keep=lambda df: df.cache()) -> Views:
+    """All pairs at the config's thresholds or above of header, text-value and numeric vectors."""
     keyed = columns.withColumn("header_key", header_norm(F.col("header")))
     name_nodes = keyed.groupBy(F.col("header_key").alias("id")).agg(F.count("*").alias("weight"), F.min("column_id").alias("first"))
     names = embed.headers(columns, encoder).select(F.col("header_key").alias("id"), "vec")
-    name_pairs = keep(neighbors.pairs(names, tau, config.method))
+    name_pairs = keep(neighbors.pairs(names, config.tau_name, config.method))
     vectors = keep(embed.text_columns(values, encoder).union(embed.histograms(cells, config.bins)))
     nodes, node_of, points = _nodes(vectors, columns)
     points = keep(points)
     value_pairs = None
     for kind in ("text", "num"):
-        part = neighbors.pairs(points.where(F.col("kind") == kind).select("id", "vec"), tau, config.method)
+        part = neighbors.pairs(points.where(F.col("kind") == kind).select("id", "vec"), config.tau_value, config.method)
         value_pairs = part if value_pairs is None else value_pairs.union(part)
     return Views(columns, keep(name_nodes), name_pairs, keep(nodes), keep(value_pairs), keep(node_of))
 

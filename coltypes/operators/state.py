@@ -2,19 +2,33 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
 
 ANNOTATIONS = "column_id string, label string, phase string, source string, threshold double"
-CALLS = "role string, phase string, target string, prompt string, response string, in_tokens long, out_tokens long"
+CALLS = "role string, phase string, target string, source string, prompt string, response string, in_tokens long, out_tokens long"
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder in spark.checkpoint.dir; only where that is unset and all runs on one machine (tests) a folder of this machine."""
+    folder = spark.conf.get("spark.checkpoint.dir", None) or _OWN.get(spark.sparkContext.applicationId)
+    if not folder:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        folder = _OWN[spark.sparkContext.applicationId] = tempfile.mkdtemp(prefix="coltypes-")
+    return folder.rstrip("/")
+
+
+_OWN: dict[str, str] = {}
 
 
 def keep(df: DataFrame) -> DataFrame:
     """The frame as an eager checkpoint."""
     spark = df.sparkSession
     if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="coltypes-"))
+        spark.sparkContext.setCheckpointDir(shared_dir(spark))
     return df.checkpoint()
 
 

@@ -26,16 +26,23 @@ def fallback(types: DataFrame, kinds: DataFrame, found: DataFrame, key: str = "s
     return kinds.join(found.select(key).distinct(), key, "left_anti").join(types.select("kind", "label").distinct(), "kind").select(key, "label")
 
 
-def sharing(values: DataFrame, key: str = "seed_cluster") -> DataFrame:
-    """(a, b): keys with a common value. Retrieval for one cluster is then a look at its neighbours that have types.
+def edges(rows: DataFrame, key: str, by: list[str]) -> DataFrame:
+    """(key, e1, e2, n_values): the different sets of keys that hold a value together, each with its members.
 
-    Values held by the same keys count once: pairs are made from the distinct sets of keys, so their
-    number follows the keys and not the values.
+    A set is known by two hashes of its members, made by aggregates that combine before the shuffle; a
+    value that very many keys hold makes one set with a row for each key, and no row of pairs.
     """
+    held = rows.select(key, *by).distinct()
+    sets = held.groupBy(*by).agg(F.bit_xor(F.xxhash64(key)).alias("e1"), F.bit_xor(F.xxhash64(F.lit(1), key)).alias("e2"), F.count("*").alias("c")).where("c > 1").drop("c")
+    return held.join(sets, by).groupBy(key, "e1", "e2").agg(F.count("*").alias("n_values"))
+
+
+def sharing(values: DataFrame, key: str = "seed_cluster") -> DataFrame:
+    """(a, b): keys with a common value. Values held by the same keys count once: pairs are made from the distinct sets of keys."""
     return pairs_of_sets(values.select(F.col(key).alias("k"), "value"), "k", ["value"]).where("a <> b")
 
 
 def pairs_of_sets(rows: DataFrame, key: str, by: list[str]) -> DataFrame:
     """(a, b): all ordered pairs of keys that meet under some value of ``by``."""
-    sets = rows.groupBy(*by).agg(F.array_sort(F.collect_set(key)).alias("s")).where(F.size("s") > 1).select("s").distinct()
-    return sets.select("s", F.explode("s").alias("a")).select("a", F.explode("s").alias("b")).distinct()
+    held = edges(rows, key, by)
+    return held.select("e1", "e2", F.col(key).alias("a")).join(held.select("e1", "e2", F.col(key).alias("b")), ["e1", "e2"]).select("a", "b").distinct()

@@ -9,10 +9,12 @@ of tables. The catalog is metadata; truth labels are inherited from base columns
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from coltypes.operators.sampling import dense_rows
 from coltypes.sources import tables as T
 
 #: Semantic types of the base columns (fixed values), as ``type: columns``.
@@ -137,11 +139,20 @@ def alias(column: str, slice_no: int) -> str:
     return options[slice_no % len(options)]
 
 
+#: Rows kept of each table for prompts.
+ROWS = 10
+
+
 @dataclass
 class Collection:
+    """Columns, cells, and ``rows``: (table_id, place, base_column, value), some well filled rows of each table; null values stay."""
+
     name: str
     columns: DataFrame
     cells: DataFrame
+    rows: DataFrame | None = None
+    #: (table_id, n_rows)
+    sizes: DataFrame | None = None
 
     @property
     def truth(self) -> DataFrame:
@@ -157,10 +168,12 @@ def _slice_id(base: str, keys: list[str]) -> F.Column:
     return F.concat_ws("_", F.lit(base), *parts)
 
 
-def _long(df: DataFrame, base: str, keys: list[str]) -> DataFrame:
-    """(table_id, base_column, kind, value, num) of a base table in one pass."""
+def _long(df: DataFrame, base: str, keys: list[str], kind: str | None = None) -> DataFrame:
+    """(table_id, base_column, kind, value, num) of a base table in one pass; of one kind only if asked for."""
     cells = []
     for column, letter in T.columns_of(base):
+        if kind and T.kind_of(letter) != kind:
+            continue
         text = T.as_text(column, letter)
         if letter == "s":
             text = F.when(F.trim(text) != "", text)
@@ -169,6 +182,17 @@ def _long(df: DataFrame, base: str, keys: list[str]) -> DataFrame:
     return df.select(_slice_id(base, keys).alias("table_id"), F.explode(F.array(*cells)).alias("c")).select("table_id", "c.*").where("value is not null and not coalesce(isnan(num), false)")
 
 
+def _sampled(df: DataFrame, base: str, keys: list[str]) -> DataFrame:
+    """(table_id, place, base_column, value): rows of each table with few empty cells, equals by a hash of the row.
+
+    Only so many rows of a table leave a task.
+    """
+    text = [T.as_text(column, letter).alias(column) for column, letter in T.columns_of(base)]
+    picked = dense_rows(df.select(_slice_id(base, keys).alias("table_id"), *text), ROWS, by=["table_id"], place="place")
+    cells = F.array(*[F.struct(F.lit(c).alias("base_column"), F.col(c).alias("value")) for c, _ in T.columns_of(base)])
+    return picked.select("table_id", "place", F.explode(cells).alias("c")).select("table_id", "place", "c.*")
+
+
 def multi_typed(spark: SparkSession, sf_dir: str) -> tuple[list[tuple], DataFrame]:
     """Catalog rows and cells of the columns that mix types."""
     rows, cells = [], None
@@ -186,10 +210,12 @@ def multi_typed(spark: SparkSession, sf_dir: str) -> tuple[list[tuple], DataFram
 
 def build(spark: SparkSession, sf_dir: str, name: str) -> Collection:
     """One of OPS, TXT, MIXED, or MULTI (the mixed columns alone)."""
-    rows, parts = [], []
+    rows, parts, samples, sizes = [], [], [], []
     for base, keys in SLICES.get(name, {}).items():
         df = T.table(spark, sf_dir, base)
         long = _long(df, base, keys)
+        samples.append(_sampled(df, base, keys))
+        sizes.append(df.groupBy(_slice_id(base, keys).alias("table_id")).agg(F.count("*").alias("n_rows")))
         if keys:
             found = sorted(r[0] for r in df.select(_slice_id(base, keys)).distinct().collect())
         else:
@@ -210,14 +236,30 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> Collection:
         cells = long.join(names, ["table_id", "base_column"]).select("column_id", "kind", "value", "num")
     if mixed is not None:
         cells = mixed if cells is None else cells.union(mixed)
-    return Collection(name, columns, cells)
+        split = F.split("column_id", "[.]")
+        picked = dense_rows(mixed.select(split[0].alias("table_id"), split[1].alias("base_column"), "value"), ROWS, by=["table_id"], place="place")
+        samples.append(picked.select("table_id", "place", "base_column", "value"))
+        sizes.append(mixed.groupBy(split[0].alias("table_id")).agg(F.count("*").alias("n_rows")))
+    return Collection(name, columns, cells, reduce(DataFrame.union, samples), reduce(DataFrame.union, sizes))
+
+
+def base_cells(spark: SparkSession, sf_dir: str, tables=tuple(T.SCHEMAS), kind: str | None = None) -> DataFrame:
+    """The cells of some base tables, of one kind if asked for: only these tables and columns are read."""
+    parts = [_long(T.table(spark, sf_dir, base), base, [], kind) for base in tables if not kind or any(T.kind_of(letter) == kind for _, letter in T.columns_of(base))]
+    return reduce(DataFrame.union, parts).select(F.concat_ws(".", "table_id", "base_column").alias("column_id"), "kind", "value", "num")
+
+
+def base_columns(spark: SparkSession) -> DataFrame:
+    """The catalog of the base tables."""
+    rows = [(f"{base}.{c}", base, c, k, T.kind_of(letter), base, c, TYPE_OF[f"{base}.{c}"]) for base in T.SCHEMAS for k, (c, letter) in enumerate(T.columns_of(base))]
+    return spark.createDataFrame(rows, CATALOG)
+
+
+def base_rows(spark: SparkSession, sf_dir: str, tables=tuple(T.SCHEMAS)) -> DataFrame:
+    """Some well filled rows of base tables."""
+    return reduce(DataFrame.union, [_sampled(T.table(spark, sf_dir, base), base, []) for base in tables])
 
 
 def base_collection(spark: SparkSession, sf_dir: str) -> Collection:
-    """The base tables as they are."""
-    rows, cells = [], None
-    for base in T.SCHEMAS:
-        rows += [(f"{base}.{c}", base, c, k, T.kind_of(letter), base, c, TYPE_OF[f"{base}.{c}"]) for k, (c, letter) in enumerate(T.columns_of(base))]
-        part = _long(T.table(spark, sf_dir, base), base, []).select(F.concat_ws(".", "table_id", "base_column").alias("column_id"), "kind", "value", "num")
-        cells = part if cells is None else cells.union(part)
-    return Collection("BASE", spark.createDataFrame(rows, CATALOG), cells)
+    """The base tables as they are, without sampled rows."""
+    return Collection("BASE", base_columns(spark), base_cells(spark, sf_dir))
