@@ -1,14 +1,14 @@
 """What the method is compared with: whole-table prompting with and without guidance and reuse, and naive routes.
 
-With the offline rule model these imitate what such prompts lead to: a table prompt gets the main
-type of each column only; without guidance some labels are vague; a growing list without strict
-rules draws some columns to a wrong known type. The shares are parameters of the imitation.
+One prompt shows a table's headers and some well filled rows, and asks for all types of all columns.
+How the answers differ follows from what a prompt says and shows: the model is told to be guided or
+not, strict or not, and gets the rows and the list of the prompt, nothing else.
 """
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -16,49 +16,32 @@ from pyspark.sql import functions as F
 
 from coltypes.operators import annotate, context, discover, prompts, tokens
 from coltypes.operators.cascade import Prepared, Result
-from coltypes.operators.models import RuleModel, TypeModel, concept, dice
+from coltypes.operators.models import RuleModel, TypeModel
 from coltypes.operators.state import ANNOTATIONS, CALLS, frame, keep
 
 
-@dataclass(frozen=True)
-class Imitation:
-    vague: int = 22
-    drawn_plain: int = 40
-    drawn_guided: int = 20
-
-
-def _label(head: dict, table: str, model: TypeModel, guided: bool, known: list[str] | None, how: Imitation) -> list[str]:
-    request = {"headers": [head["header"]], "sample": list(head["values"]), "kind": head["kind"], "candidates": known or [], "context": [], "single": True}
-    got = model.propose(request)
-    salt = f"{table}|{head['header']}"
-    if known and dice(salt, "drawn") % 100 < (how.drawn_guided if guided else how.drawn_plain) and not any(concept(k) == concept(got[0]) for k in known):
-        return [known[dice(salt) % len(known)]]
-    if not guided and dice(salt, "vague") % 100 < how.vague:
-        return [f"{head['header'].strip('_')} Entry"]
-    return got
-
-
-def _answer(heads: list[dict], table: str, model: TypeModel, guided: bool, known: list[str] | None, how: Imitation) -> tuple[list[tuple], tuple]:
-    import json
-
-    labels = {h["column_id"]: _label(h, table, model, guided, known, how) for h in heads}
+def _answer(heads: list[dict], table: str, model: TypeModel, guided: bool, known: list[str] | None) -> tuple[list[tuple], tuple]:
+    labels = {}
+    for h in heads:
+        sample = [v for v in dict.fromkeys(h["values"]) if v]
+        labels[h["column_id"]] = model.propose({"headers": [h["header"]], "sample": sample, "kind": h["kind"], "candidates": known or [], "context": [], "guided": guided, "strict": guided})
     prompt = prompts.whole_table(heads, guided, known)
     response = json.dumps({h["header"]: labels[h["column_id"]] for h in heads})
     rows = [(c, label, "table", "table", None) for c, got in labels.items() for label in got]
-    return rows, ("discovery", "table", table, prompt, response, tokens.estimate(prompt), tokens.estimate(response))
+    return rows, ("discovery", "table", table, "all" if known is not None else "none", prompt, response, tokens.estimate(prompt), tokens.estimate(response))
 
 
-def llm_only(p: Prepared, guided: bool, reuse: bool, model: TypeModel = RuleModel(), rows: int = 10, how: Imitation = Imitation(), columns: DataFrame | None = None) -> Result:
+def llm_only(p: Prepared, guided: bool, reuse: bool, model: TypeModel = RuleModel(), rows: int = 10, columns: DataFrame | None = None) -> Result:
     """One call per table; with reuse in table order, since each prompt lists the types so far; else spread over tasks."""
     spark = p.columns.sparkSession
     wanted = p.columns if columns is None else columns
-    tables = context.table_rows(wanted, p.values.join(wanted.select("column_id"), "column_id", "left_semi"), rows)
+    tables = context.table_rows(wanted, p.rows, rows)
     if reuse:
         known: list[str] = []
         out, calls = [], []
         for r in tables.orderBy("table_id").toLocalIterator():
             heads = [h.asDict() for h in r["heads"]]
-            got, call = _answer(heads, r["table_id"], model, guided, known, how)
+            got, call = _answer(heads, r["table_id"], model, guided, known)
             out += got
             calls.append(call)
             known += [x for x in dict.fromkeys(g[1] for g in got) if x not in known]
@@ -68,9 +51,9 @@ def llm_only(p: Prepared, guided: bool, reuse: bool, model: TypeModel = RuleMode
         for f in frames:
             told = []
             for table, heads in zip(f["table_id"], f["heads"], strict=True):
-                got, call = _answer([dict(h) for h in heads], table, model, guided, None, how)
+                got, call = _answer([dict(h) | {"values": list(h["values"])} for h in heads], table, model, guided, None)
                 told.append(([g[0] for g in got], [g[1] for g in got], *call))
-            yield pd.DataFrame(told, columns=["columns", "labels", "role", "phase", "target", "prompt", "response", "in_tokens", "out_tokens"])
+            yield pd.DataFrame(told, columns=["columns", "labels", *(c.split()[0] for c in CALLS.split(", "))])
 
     asked = keep(tables.mapInPandas(ask, f"columns array<string>, labels array<string>, {CALLS}"))
     pairs = asked.select(F.explode(F.arrays_zip("columns", "labels")).alias("z"))
@@ -85,20 +68,19 @@ def per_column(p: Prepared, model: TypeModel = RuleModel()) -> Result:
     return Result(annotate.propagate(got.types, alone, "discovery", 1.0), got.calls, got.labels)
 
 
-def closed_full(p: Prepared, labels: list[str], model: TypeModel = RuleModel()) -> Result:
+def closed_full(p: Prepared, labels: list[str], model: TypeModel = RuleModel(), single: bool = False) -> Result:
     """Every column against the whole vocabulary."""
     vocabulary = frame(p.columns.sparkSession, [(label,) for label in labels], "label string")
     lists = vocabulary.agg(F.array_sort(F.collect_set("label")).alias("all"))
     candidates = p.columns.select("column_id").join(F.broadcast(lists)).select("column_id", F.explode("all").alias("label"), F.lit("all").alias("source"))
-    checked = keep(annotate.closed_set(annotate.requests(candidates, p.columns, p.values), model))
-    return Result(annotate.aggregate(checked, "closed", None), annotate.calls_of(checked, "closed"))
+    checked = keep(annotate.closed_set(annotate.requests(candidates, p.columns, p.values, rows=p.rows), model))
+    made = annotate.aggregate(checked.withColumn("accepted", F.slice("accepted", 1, 1)) if single else checked, "closed", None)
+    return Result(made, annotate.calls_of(checked, "closed"))
 
 
 def closed_single(p: Prepared, labels: list[str], model: TypeModel = RuleModel()) -> Result:
-    """The classical task: the one label of a closed list that fits a column, or none."""
-    r = closed_full(p, labels, model)
-    one = r.annotations.groupBy("column_id").agg(F.min("label").alias("label"))
-    return Result(one.select("column_id", "label", F.lit("closed").alias("phase"), F.lit("all").alias("source"), F.lit(None).cast("double").alias("threshold")), r.calls)
+    """The classical task: the one label of a closed list that fits a column best (the first of the answer), or none."""
+    return closed_full(p, labels, model, single=True)
 
 
 def complete(p: Prepared, cascade: Result, model: TypeModel = RuleModel()) -> Result:

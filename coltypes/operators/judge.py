@@ -1,13 +1,17 @@
-"""Verdicts on annotations: pooled once for all methods, by truth labels in place of a judge model; samples for manual checks."""
+"""Verdicts on annotations, pooled once for all methods, by a judge model or by truth labels; samples for manual checks."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from coltypes.functions.exprs import is_generic
-from coltypes.operators.models import CONCEPT
+from coltypes.operators import context, sampling
+from coltypes.operators.models import CONCEPT, RuleJudge, TypeModel
 
 
 def concepts(annotations: DataFrame) -> DataFrame:
@@ -26,8 +30,30 @@ def pool(by_method: dict[str, DataFrame]) -> DataFrame:
     return out.distinct()
 
 
+JUDGED = "column_id string, label string, valid boolean"
+
+
+def judged(pooled: DataFrame, columns: DataFrame, values: DataFrame, rows: DataFrame | None, model: TypeModel | RuleJudge | None = None, k: int = 10, context_rows: int = 3) -> DataFrame:
+    """(column_id, label, valid): one verdict of a judge model per column and label, from the header, a sample of values and the table."""
+    model = model or RuleJudge()
+    asked = pooled.select("column_id", "label").distinct()
+    ids = asked.select("column_id").distinct()
+    sample = sampling.length_stratified(values.join(ids, "column_id", "left_semi"), "column_id", k).groupBy("column_id").agg(F.array_sort(F.collect_list("value")).alias("sample"))
+    about = columns.join(ids, "column_id", "left_semi").select("column_id", "table_id", "header")
+    near = columns.join(about.select("table_id").distinct(), "table_id", "left_semi")
+    shown = context.table_rows(near, rows, context_rows).select("table_id", context.shown(F.col("heads")).alias("table"))
+    requests = asked.join(about, "column_id").join(sample, "column_id", "left").join(shown, "table_id", "left").withColumn("sample", F.coalesce("sample", F.array().cast("array<string>")))
+
+    def decide(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            valid = [model.judge(r | {"sample": list(r["sample"])}) for r in f.to_dict("records")]
+            yield pd.DataFrame({"column_id": f["column_id"], "label": f["label"], "valid": pd.Series(valid, dtype=bool, index=f.index)})
+
+    return requests.select("column_id", "label", "header", "sample", "table").mapInPandas(decide, JUDGED)
+
+
 def verdicts(pooled: DataFrame, truth: DataFrame) -> DataFrame:
-    """(column_id, label, concept, valid): one verdict per column and label; generic labels never pass."""
+    """(column_id, label, concept, valid): one verdict per column and label by true types, as a person gives; generic labels never pass."""
     right = truth.select("column_id", F.col("label").alias("concept"), F.lit(True).alias("hit"))
     judged = concepts(pooled.select("column_id", "label").distinct()).join(right, ["column_id", "concept"], "left")
     return judged.select("column_id", "label", "concept", (F.coalesce("hit", F.lit(False)) & ~is_generic(F.col("label"))).alias("valid"))

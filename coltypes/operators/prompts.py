@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+from itertools import zip_longest
 
 DISCOVER = """These table columns were grouped because their headers and their contents look alike.
 Say which kinds of things their values stand for.
@@ -19,7 +20,8 @@ How to decide:
 6. No two types of the answer may mean the same.
 Reply with JSON and nothing else: {{"answer": ["...", ...]}}"""
 
-CHECK = """Column "{header}" of a table with these columns and first rows: {context}
+CHECK = """Column "{header}" of a table with these columns and some of its rows:
+{context}
 Some of its values: {sample}
 Take the types of this list one at a time and test each: {candidates}
 {rule}
@@ -31,7 +33,14 @@ RULES = {
     "num": "Numbers alone say little: a type passes if header and table make clear that this is what is counted or measured.",
 }
 
-WHOLE = """Name the semantic types of every column of this table.
+JUDGE = """Column "{header}" of a table with these columns and some of its rows:
+{context}
+Some of its values: {sample}
+Proposed type: {label}
+Is it a true and telling type of at least some of these values? A word that fits any column, like value or name, is not.
+Reply with JSON and nothing else: {{"answer": ["yes"]}} or {{"answer": ["no"]}}"""
+
+WHOLE = """Name the semantic types of every column of this table, given its headers and some rows.
 {rows}
 {advice}{known}Reply with JSON and nothing else: {{"column": ["...", ...], ...}}"""
 
@@ -50,8 +59,13 @@ def closed_set(request: dict) -> str:
     return CHECK.format(header=request["header"], context=request["table"], sample=" | ".join(request["sample"]), candidates=", ".join(request["candidates"]), rule=RULES[request["kind"]])
 
 
+def judgement(request: dict) -> str:
+    return JUDGE.format(header=request["header"], context=request["table"], sample=" | ".join(request["sample"]), label=request["label"])
+
+
 def whole_table(heads: list, guided: bool, known: list[str] | None) -> str:
-    rows = "\n".join(f"{h['header']}: {' | '.join(h['values'])}" for h in heads)
+    lines = [[h["header"] for h in heads], *zip_longest(*(h["values"] for h in heads), fillvalue="")]
+    rows = "\n".join(" | ".join(line) for line in lines)
     listed = ("Types known so far: " + ", ".join(known) + "\n") if known is not None else ""
     return WHOLE.format(rows=rows, advice=GUIDANCE if guided else "", known=listed + (REUSE_RULES if guided and known is not None else ""))
 
