@@ -5,6 +5,9 @@ Runs are kept per session, input folder, collection and method, so workloads sha
 
 from __future__ import annotations
 
+import uuid
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,7 +16,7 @@ from coltypes.operators import annotate, baselines, cascade, communities, discov
 from coltypes.operators.cascade import CascadeConfig, Prepared, Result
 from coltypes.operators.discover import DiscoverConfig
 from coltypes.operators.models import RuleModel
-from coltypes.operators.state import keep
+from coltypes.operators.state import keep, shared_dir
 from coltypes.sources import collection as C
 from coltypes.sources import tables
 from coltypes.streaming import live
@@ -22,6 +25,12 @@ METHODS = ("plain", "plain+reuse", "guided", "guided+reuse", "cascade")
 COLLECTIONS = ("OPS", "TXT", "MIXED")
 _PREPARED: dict[tuple, Prepared] = {}
 _RUNS: dict[tuple, Result] = {}
+_VERDICTS: dict[tuple, DataFrame] = {}
+
+
+def clear() -> None:
+    """Forget what was kept, so that the next workload is timed by itself."""
+    _PREPARED.clear(), _RUNS.clear(), _VERDICTS.clear()
 
 
 def prepared(spark: SparkSession, sf_dir: str, name: str) -> Prepared:
@@ -70,53 +79,100 @@ def _one_row(*frames: DataFrame) -> DataFrame:
     return out
 
 
-def summary(spark: SparkSession, sf_dir: str, name: str, method: str, level: str = "strong", annotator: str | None = None) -> DataFrame:
-    """One row: collection, method, tokens, calls, types, coverage, hit rate, judged precision, p, r, f1."""
-    p, r = prepared(spark, sf_dir, name), result(spark, sf_dir, name, method, level, annotator)
-    judged = keep(judge.verdicts(judge.pool({"m": r.annotations}), _truth(p)))
-    counts = metrics.prf(metrics.confusion(_by_meaning(r.annotations), _truth(p).join(r.annotations.select("column_id").distinct(), "column_id", "left_semi")))
-    row = _one_row(metrics.tokens(r.calls), metrics.n_types(r.annotations), metrics.coverage(r.annotations, p.columns), metrics.hit_rate(r.annotations, judged), metrics.judged_precision(r.annotations, judged), counts)
-    return metrics.rounded(row.select(F.lit(name).alias("collection"), F.lit(method).alias("method"), "*"))
+def judged(spark: SparkSession, sf_dir: str, name: str, *runs: tuple) -> DataFrame:
+    """Verdicts of the judge model on the pool of some runs (method, level, annotator), each column and label once."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, runs)
+    if key not in _VERDICTS:
+        p = prepared(spark, sf_dir, name)
+        pooled = judge.pool({str(x): result(spark, sf_dir, name, *x).annotations for x in runs})
+        _VERDICTS[key] = keep(judge.judged(pooled, p.columns, p.values, p.rows))
+    return _VERDICTS[key]
+
+
+def quality(p: Prepared, annotations: DataFrame, common: DataFrame, verdicts: DataFrame | None = None) -> DataFrame:
+    """Measures on the columns ``common`` to all that are compared: judged if verdicts are given, and p, r, f1 against the true types."""
+    a = metrics.restrict(annotations, common)
+    rows = [metrics.prf(metrics.confusion(_by_meaning(a), metrics.restrict(_truth(p), common))).select("p", "r", "f1")]
+    if verdicts is not None:
+        rows = [metrics.hit_rate(a, verdicts), metrics.judged_precision(a, verdicts), *rows]
+    return metrics.rounded(_one_row(*rows))
+
+
+def usage(p: Prepared, r: Result) -> DataFrame:
+    """Tokens and calls of discovery, different types and coverage."""
+    return metrics.rounded(_one_row(metrics.tokens(r.calls), metrics.n_types(r.annotations), metrics.coverage(r.annotations, p.columns)))
 
 
 def _all(frames: list[DataFrame]) -> DataFrame:
-    out = frames[0]
-    for f in frames[1:]:
-        out = out.unionByName(f)
-    return out
+    return reduce(DataFrame.unionByName, frames)
+
+
+def _named(collection: str, method: str, row: DataFrame) -> DataFrame:
+    return row.select(F.lit(collection).alias("collection"), F.lit(method).alias("method"), "*")
 
 
 def exp_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tokens, types and coverage of five methods on three collections."""
-    return _all([summary(spark, sf_dir, c, m).select("collection", "method", "in_tokens", "out_tokens", "n_calls", "n_types", "coverage") for c in COLLECTIONS for m in METHODS])
+    return _all([_named(c, m, usage(prepared(spark, sf_dir, c), result(spark, sf_dir, c, m))) for c in COLLECTIONS for m in METHODS])
+
+
+def _quality_rows(spark: SparkSession, sf_dir: str, c: str, methods: tuple[str, ...]) -> list[DataFrame]:
+    p, common = prepared(spark, sf_dir, c), result(spark, sf_dir, c, "cascade").annotations
+    verdicts = judged(spark, sf_dir, c, *((m,) for m in methods))
+    return [_named(c, m, quality(p, result(spark, sf_dir, c, m).annotations, common, verdicts)) for m in methods]
 
 
 def exp_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Judged hit rate and precision and micro scores of five methods on three collections."""
-    return _all([summary(spark, sf_dir, c, m).select("collection", "method", "hit_rate", "judged_precision", "p", "r", "f1") for c in COLLECTIONS for m in METHODS])
+    """Judged hit rate and precision, and micro scores, of five methods on the columns that the cascade annotated; one pool of verdicts for each collection."""
+    return _all([row for c in COLLECTIONS for row in _quality_rows(spark, sf_dir, c, METHODS)])
+
+
+def exp_manual(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores by phase on one column of each type that the cascade found in it; the truth is what any method got right, and placeholders for the rest."""
+    rows = []
+    for c in COLLECTIONS:
+        p, runs = prepared(spark, sf_dir, c), {m: result(spark, sf_dir, c, m).annotations for m in METHODS}
+        sample = keep(judge.representatives(runs["cascade"]))
+        by_person = judge.verdicts(judge.pool(runs), _truth(p))
+        truth = keep(judge.synthetic_truth(by_person, _truth(p)).join(sample, "column_id").select("phase", "column_id", "label"))
+        for m, a in runs.items():
+            own = judge.concepts(a.select("column_id", "label")).select("column_id", F.col("concept").alias("label")).join(sample, "column_id")
+            rows.append(_named(c, m, metrics.rounded(metrics.prf(metrics.confusion(own, truth, ["phase"])))))
+    return _all(rows)
 
 
 def exp_tradeoff(spark: SparkSession, sf_dir: str, price_in: float = 2.0, price_out: float = 8.0) -> DataFrame:
-    """Cost per thousand columns, F1 and redundancy on the columns that the cascade annotated."""
+    """Cost per thousand columns and as a multiple of the cascade's, F1 and redundancy on the columns that the cascade annotated."""
     rows = []
     for c in COLLECTIONS:
-        ids = result(spark, sf_dir, c, "cascade").annotations
+        p, best = prepared(spark, sf_dir, c), result(spark, sf_dir, c, "cascade")
+        least = metrics.cost(best.calls, price_in, price_out)
         for m in METHODS:
             r = result(spark, sf_dir, c, m)
-            rows.append(_one_row(summary(spark, sf_dir, c, m).select("collection", "method", "f1"), metrics.rounded(metrics.cost_per_k(r.calls, r.annotations, price_in, price_out)), metrics.types_on(r.annotations, ids)))
+            times = metrics.cost_ratio(least, metrics.cost(r.calls, price_in, price_out)).withColumnRenamed("ratio", "times_cascade")
+            rows.append(_named(c, m, _one_row(quality(p, r.annotations, best.annotations).select("f1"), metrics.rounded(_one_row(metrics.cost_per_k(r.calls, r.annotations, price_in, price_out), times)), metrics.types_on(r.annotations, best.annotations))))
     return _all(rows)
 
 
 def exp_models(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Discovery models and annotation models of three strengths, on OPS."""
-    rows = [summary(spark, sf_dir, "OPS", "cascade", level).withColumn("swapped", F.lit(f"discovery {level}")) for level in ("strong", "medium", "weak")]
-    rows += [summary(spark, sf_dir, "OPS", "cascade", "strong", level).withColumn("swapped", F.lit(f"annotation {level}")) for level in ("medium", "weak")]
-    return _all(rows).select("swapped", "hit_rate", "judged_precision", "n_types", "coverage", "f1")
+    """Discovery models and annotation models of three strengths, on OPS; one pool of verdicts."""
+    p = prepared(spark, sf_dir, "OPS")
+    runs = {f"discovery {level}": ("cascade", level) for level in ("strong", "medium", "weak")} | {f"annotation {level}": ("cascade", "strong", level) for level in ("medium", "weak")}
+    verdicts, rows = judged(spark, sf_dir, "OPS", *runs.values()), []
+    for swapped, run in runs.items():
+        r = result(spark, sf_dir, "OPS", *run)
+        rows.append(_one_row(quality(p, r.annotations, r.annotations, verdicts), usage(p, r)).select(F.lit(swapped).alias("swapped"), "hit_rate", "judged_precision", "n_types", "coverage", "f1"))
+    return _all(rows)
 
 
 def exp_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Single thresholds against the cascade, on OPS."""
-    return _all([summary(spark, sf_dir, "OPS", m).select("method", "hit_rate", "judged_precision", "n_types", "coverage", "n_calls") for m in ("fixed(0.75)", "fixed(0.9)", "fixed(0.99)", "cascade")])
+    """Single thresholds against the cascade, on OPS, each on the columns that it annotated; one pool of verdicts."""
+    p, methods = prepared(spark, sf_dir, "OPS"), ("fixed(0.75)", "fixed(0.9)", "fixed(0.99)", "cascade")
+    verdicts, rows = judged(spark, sf_dir, "OPS", *((m,) for m in methods)), []
+    for m in methods:
+        r = result(spark, sf_dir, "OPS", m)
+        rows.append(_one_row(quality(p, r.annotations, r.annotations, verdicts), usage(p, r)).select(F.lit(m).alias("method"), "hit_rate", "judged_precision", "n_types", "coverage", "n_calls"))
+    return _all(rows)
 
 
 def exp_multitype(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -142,12 +198,23 @@ def intro_example(spark: SparkSession, sf_dir: str) -> DataFrame:
     return annotate.propagate(got.types, members, "discovery", 0.75).select("column_id", "label")
 
 
+#: The six columns of the example: table, header, form of the values.
+EXAMPLE = [
+    ("t1", "PickupLocationAddress", "NATION_%d"), ("t2", "pickup_location_address", "NATION_%d"), ("t3", "pickup_location_adress", "NATION_%d"),
+    ("t4", "pickup_location", "NATION_%d"), ("t5", "location_address", "NATION_%dB"), ("t6", "qqq", "zz %d zz"),
+]
+
+
+def example(spark: SparkSession) -> C.Collection:
+    columns = spark.createDataFrame([(f"{t}.{h}", t, h, 0, "text", t, h, "") for t, h, _ in EXAMPLE], C.CATALOG)
+    cells = spark.createDataFrame([(f"{t}.{h}", "text", form % n, None) for t, h, form in EXAMPLE for n in range(1, 9)], "column_id string, kind string, value string, num double")
+    rows = spark.createDataFrame([(t, n, h, form % n) for t, h, form in EXAMPLE for n in range(1, 9)], "table_id string, place int, base_column string, value string")
+    return C.Collection("EXAMPLE", columns, cells, rows)
+
+
 def cascade_example(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Six columns, levels 0.99, 0.9 and 0.75: a pair found at once, one that fits its siblings, one that does not, one that never joins."""
-    rows = [("t1.brand", "t1", "p_brand", "Brand#%d"), ("t2.brand", "t2", "Brand", "Brand#%d"), ("t3.brands", "t3", "brandes", "Brand#%d"), ("t4.brandx", "t4", "brandz", "NATION_%d"), ("t5.qqq", "t5", "qqq", "zz %d zz")]
-    columns = spark.createDataFrame([(i, t, h, 0, "text", t, h, "") for i, t, h, _ in rows], C.CATALOG)
-    cells = spark.createDataFrame([(i, "text", pattern % n, None) for i, _, _, pattern in rows for n in range(1, 9)], "column_id string, kind string, value string, num double")
-    r = cascade.run(C.Collection("EXAMPLE", columns, cells), CascadeConfig((0.99, 0.75, 0.3)))
+    """Six columns, levels 0.99, 0.9 and 0.75: a pair found at once, two that fit its types at the lower levels, a residual of one, one that never joins."""
+    r = cascade.run(example(spark), CascadeConfig())
     return r.annotations.select("column_id", "label", "phase", "threshold")
 
 
@@ -160,7 +227,7 @@ def embedding_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def header_pairs_lsh(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Header pairs by random projections, checked exactly."""
-    v = embed.headers(C.base_collection(spark, sf_dir).columns).withColumnRenamed("header_key", "id")
+    v = embed.headers(C.base_columns(spark)).withColumnRenamed("header_key", "id")
     return metrics.rounded(neighbors.lsh(v, 0.4, 16, 1.0))
 
 
@@ -185,15 +252,12 @@ def all_collection_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for c in COLLECTIONS:
         p = prepared(spark, sf_dir, c)
-        n = p.values.groupBy("column_id").agg(F.sum("n").alias("n")).join(p.columns, "column_id").groupBy("table_id").agg(F.max("n").alias("n_rows"))
-        rows.append(metrics.collection_stats(p.columns, n).select(F.lit(c).alias("collection"), "*"))
+        rows.append(metrics.collection_stats(p.columns, p.collection.sizes).select(F.lit(c).alias("collection"), "*"))
     return _all(rows)
 
 
 def stream_value_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The value index kept as state, over documents' languages arriving as a stream with their type."""
-    import uuid
-
     schema = tables.table(spark, sf_dir, "documents").schema
     docs = spark.readStream.schema(schema).parquet(f"{sf_dir}/documents.parquet*")
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
@@ -230,8 +294,8 @@ def exp_match_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def exp_components(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Switches off one component at a time, on TXT."""
-    p = prepared(spark, sf_dir, "TXT")
+    """Switches off one component at a time, on TXT; scores on the columns that the full cascade annotated."""
+    p, common = prepared(spark, sf_dir, "TXT"), result(spark, sf_dir, "TXT", "cascade").annotations
     switches = {
         "all on": {},
         "no index": {"discovery": DiscoverConfig(candidates="all")},
@@ -240,31 +304,58 @@ def exp_components(spark: SparkSession, sf_dir: str) -> DataFrame:
         "unordered": {"discovery": DiscoverConfig(order="id")},
         "uniform sample": {"discovery": DiscoverConfig(sampling="uniform")},
         "frequency sample": {"discovery": DiscoverConfig(sampling="frequency")},
+        "no rows": {"context_rows": 0},
+        "looser names": {"name_slack": 0.1},
         "names only": {"view": "name"},
         "values only": {"view": "value"},
     }
     rows = []
     for label, change in switches.items():
         config = CascadeConfig(**change)
-        own = Prepared.__new__(Prepared)
-        own.__dict__ = p.__dict__ | {"config": config, "_levels": {} if "view" in change else p._levels}
+        if "name_slack" in change:
+            own = Prepared(p.collection, config)
+        else:
+            own = Prepared.__new__(Prepared)
+            own.__dict__ = p.__dict__ | {"config": config, "_levels": {} if "view" in change else p._levels}
         r = cascade.run(p.collection, config, prepared=own)
-        counts = metrics.prf(metrics.confusion(_by_meaning(r.annotations), _truth(p)))
-        rows.append(metrics.rounded(_one_row(metrics.tokens(r.calls), metrics.n_types(r.annotations), metrics.coverage(r.annotations, p.columns), counts.select("p", "r", "f1"))).select(F.lit(label).alias("switch"), "*"))
+        rows.append(_one_row(usage(p, r), quality(p, r.annotations, common)).select(F.lit(label).alias("switch"), "*"))
     return _all(rows)
 
 
+def _shown(ways: dict[str, DataFrame]) -> DataFrame:
+    """How many lengths and values the samples of all columns have together."""
+    rows = []
+    for way, s in ways.items():
+        each = s.groupBy("column_id").agg(F.countDistinct(F.length("value")).alias("lengths"), F.count("*").alias("n_values"))
+        rows.append(each.agg(F.sum("lengths").cast("long").alias("lengths"), F.sum("n_values").cast("long").alias("n_values")).select(F.lit(way).alias("way"), "*"))
+    return _all(rows)
+
+
+def _mixed_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return C.build(spark, sf_dir, "MULTI").cells.groupBy("column_id", "value").agg(F.count("*").alias("n"))
+
+
 def exp_sampling(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
     """How many lengths and values each way of sampling shows of the mixed columns."""
-    values = C.build(spark, sf_dir, "MULTI").cells.groupBy("column_id", "value").agg(F.count("*").alias("n"))
-    ways = {"stratified": sampling.length_stratified(values, "column_id", k), "uniform": sampling.uniform(values, "column_id", k), "frequency": sampling.by_frequency(values, "column_id", k)}
-    rows = [s.groupBy("column_id").agg(F.countDistinct(F.length("value")).alias("lengths"), F.count("*").alias("n_values")).agg(F.sum("lengths").cast("long").alias("lengths"), F.sum("n_values").cast("long").alias("n_values")).select(F.lit(w).alias("way"), "*") for w, s in ways.items()]
-    return _all(rows)
+    values = _mixed_values(spark, sf_dir)
+    return _shown({"stratified": sampling.length_stratified(values, "column_id", k), "uniform": sampling.uniform(values, "column_id", k), "frequency": sampling.by_frequency(values, "column_id", k)})
+
+
+def exp_sampling_clusters(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
+    """The same for the costly way, clusters of TF-IDF vectors, beside the stratified one."""
+    values = _mixed_values(spark, sf_dir)
+    return _shown({"value clusters": sampling.by_value_clusters(values, "column_id", k), "stratified": sampling.length_stratified(values, "column_id", k)})
 
 
 def complete_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cascade, its complement and the guided baseline: coverage against tokens."""
-    return _all([summary(spark, sf_dir, c, m).select("collection", "method", "in_tokens", "out_tokens", "n_calls", "coverage", "f1") for c in COLLECTIONS for m in ("cascade", "complete", "guided")])
+    """Cascade, its complement and the guided baseline: coverage against tokens, and F1 over all columns."""
+    rows = []
+    for c in COLLECTIONS:
+        p = prepared(spark, sf_dir, c)
+        for m in ("cascade", "complete", "guided"):
+            r = result(spark, sf_dir, c, m)
+            rows.append(_named(c, m, _one_row(usage(p, r).drop("n_types"), quality(p, r.annotations, p.columns).select("f1"))))
+    return _all(rows)
 
 
 def annotations_of(method: str, name: str = "OPS"):
@@ -297,7 +388,7 @@ def closed_set_of(kind: str):
         candidates = annotate.candidates_by("name", level, known, wanted)
         if kind == "text":
             candidates = candidates.union(annotate.candidates_by("value", level, known, wanted))
-        asked = annotate.requests(candidates, p.columns, p.values)
+        asked = annotate.requests(candidates, p.columns, p.values, rows=p.rows)
         return annotate.closed_set(asked).select("column_id", "source", F.array_join("accepted", "|").alias("accepted"), "in_tokens", "out_tokens")
 
     return query
@@ -317,16 +408,13 @@ def tfidf_cluster_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_incremental_annotation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """New documents' columns arrive as a stream; values known from OPS and TXT types get labels, others are queued."""
-    import tempfile
-
     from coltypes.operators import valueindex
 
     p = prepared(spark, sf_dir, "TXT")
     types = result(spark, sf_dir, "TXT", "cascade").annotations.select("column_id", "label")
     index = keep(valueindex.extend(None, p.values.where("kind = 'text'"), types, "column_id"))
     schema = tables.table(spark, sf_dir, "documents").schema
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="coltypes-")).rstrip("/")
-    base = f"{folder}/stream-{F.__name__}-{spark.sparkContext.applicationId}-{id(index)}"
+    base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     docs = spark.readStream.schema(schema).option("pathGlobFilter", "documents*").parquet(f"{sf_dir}/documents.parquet*")
     cells = docs.select(F.explode(F.array(F.struct(F.lit("new.lang").alias("column_id"), F.col("lang").alias("value")), F.struct(F.lit("new.source").alias("column_id"), F.col("source").alias("value")))).alias("c")).select("c.*")
     q = live.annotate_batches(cells, index, f"{base}/labels", f"{base}/queue", f"{base}/checkpoint")

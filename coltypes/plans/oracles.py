@@ -118,6 +118,31 @@ def slices_sql(name: str) -> str:
 
 
 
+def multi_sql() -> str:
+    """(column_id, value, n): the values of the columns of mixed types."""
+    parts = []
+    for k, (header, sources) in enumerate(C.MULTI, 1):
+        for source in sources.split():
+            base, column = source.split(".")
+            parts.append(f"select distinct 'multi_{k:02d}.{header}' column_id, {_cell(column, dict(T.columns_of(base))[column])} as value from {base} where {column} is not null")
+    return "select column_id, value, count(*) n from (" + " union all ".join(parts) + ") group by 1, 2"
+
+
+def shown_sql(k: int) -> str:
+    """Lengths and values that samples of k values of the mixed columns show."""
+    v = f"select column_id, value, n, row_number() over (partition by column_id order by md5(value || '#0'), value) u, row_number() over (partition by column_id order by n desc, value) f, row_number() over (partition by column_id, length(value) order by md5(value || '#0'), value) turn, count(*) over (partition by column_id, length(value)) size from ({multi_sql()})"
+    v = f"select *, row_number() over (partition by column_id order by turn, size desc, length(value)) s from ({v})"
+    count = "cast(sum(l) as bigint) lengths, cast(sum(c) as bigint) n_values from (select column_id, count(distinct length(value)) l, count(*) c from"
+    return " union all ".join(f"select '{way}' way, {count} ({v}) where {place} <= {k} group by 1)" for way, place in (("stratified", "s"), ("uniform", "u"), ("frequency", "f")))
+
+
+LABEL_GRAMS = gram_vectors(f"(select distinct lower(label) id, lower(label) txt from ({ANN}))")
+PAIR_SIMILARITY = f"""with w as ({LABEL_GRAMS}), a as ({ANN}), s as (select x.id i, y.id j, sum(x.w * y.w) sim from w x join w y on x.b = y.b group by 1, 2)
+ select round(avg(coalesce(s.sim, 0)), 6) similarity, count(*) n_typed from ({PAIRS}) p join a l on l.column_id = p.left_id join a r on r.column_id = p.right_id left join s on s.i = lower(l.label) and s.j = lower(r.label)"""
+DRIFT = """with m as (select avg(value) mean, stddev_pop(value) deviation from events), b as (select time_bucket(interval '1 day', ts) w, cast(greatest(0, least(99, floor((round((value - mean) / deviation, 9) + 4) / 8 * 100))) as int) bin from events, m where value is not null),
+ d as (select w, bin, count(*) c from b group by 1, 2), a as (select bin, count(*) c from b group by 1)
+ select w, round(sum(d.c * a.c) / (sqrt(sum(d.c * d.c)) * (select sqrt(sum(c * c)) from a)), 6) similarity from d join a on a.bin = d.bin group by 1"""
+
 GENERIC_SQL = ", ".join(f"'{g}'" for g in GENERIC)
 
 SQL = {
@@ -170,6 +195,13 @@ SQL = {
     "synthetic_truth": f"with found as (select column_id, label from ({VERDICTS}) where valid), missed as (select c.column_id, c.truth from ({CATALOG}) c left join found f on f.column_id = c.column_id and f.label = c.truth where f.column_id is null) select column_id, label from found union all select column_id, 'Other_' || row_number() over (partition by column_id order by truth) from missed",
     "pair_agreement": f"select round(100 * avg(case when l = r then 1.0 else 0.0 end), 6) pct_shared, round(100 * avg(case when l = r then 1.0 else 0.0 end), 6) pct_same, count(*) n_pairs from ({PAIR_LABELS})",
     "pair_agreement_annotated": f"select round(100 * avg(case when l = r then 1.0 else 0.0 end), 6) pct_shared, round(100 * avg(case when l = r then 1.0 else 0.0 end), 6) pct_same, count(*) n_pairs from ({PAIR_LABELS}) where l is not null and r is not null",
+    "pair_similarity": PAIR_SIMILARITY,
+    "exp_sampling": shown_sql(4),
+    "running_tokens": f"select target, in_tokens, cast(sum(in_tokens) over (order by target) as bigint) so_far from ({TOKENS})",
+    "drift_by_day": DRIFT,
+    "stream_deduplicated": "select event_type, count(distinct event_id) n from events group by 1",
+    "calls_by_role_cube": f"select role, phase, count(*) n_calls from ({TOKENS}) group by cube(role, phase)",
+    "table_rows_regions": "select 'nation' table_id, n_nationkey nk, n_name nn, n_regionkey rk from nation order by md5(concat_ws('|', 'nation', cast(n_nationkey as varchar), n_name, cast(n_regionkey as varchar), '0')) limit 3",
     "overlap_filter": f"select left_id, right_id from ({PAIR_LABELS}) where l = r",
     "suspect_columns": f"select column_id, count(distinct label) n_types from (select column_id, label from ({ANN}) union all select column_id, truth from ({ANN})) group by 1 having count(distinct label) > 1",
     "stream_windows": "select time_bucket(interval '1 day', ts) w, event_type, count(*) n, round(sum(value), 6) total from events group by 1, 2",

@@ -42,7 +42,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "complete_coverage": E.complete_coverage,
         "stream_incremental_annotation": E.stream_incremental_annotation,
     }
-    names = ("intro_example", "cascade_example", "embedding_clusters", "header_pairs_lsh", "single_view_clusters", "rest_annotation", "all_collection_stats", "stream_value_index", "sql_functions", "exp_tokens", "exp_quality", "exp_tradeoff", "exp_models", "exp_variants", "exp_multitype", "exp_join_pairs", "exp_match_pairs", "exp_sampling", "exp_components")
+    names = ("intro_example", "cascade_example", "embedding_clusters", "header_pairs_lsh", "single_view_clusters", "rest_annotation", "all_collection_stats", "stream_value_index", "sql_functions", "exp_tokens", "exp_quality", "exp_tradeoff", "exp_models", "exp_variants", "exp_multitype", "exp_join_pairs", "exp_match_pairs", "exp_sampling", "exp_sampling_clusters", "exp_manual", "exp_components")
     return found | {n: getattr(E, n) for n in names}
 
 

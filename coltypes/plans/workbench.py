@@ -22,14 +22,18 @@ class Bench:
 
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir = spark, sf_dir
-        base = C.base_collection(spark, sf_dir)
-        self.columns, self.cells = base.columns, base.cells
+        self.columns = C.base_columns(spark)
+
+    @property
+    def cells(self) -> DataFrame:
+        return C.base_cells(self.spark, self.sf_dir)
 
     def values(self, tables=tuple(T.SCHEMAS), kind: str | None = "text") -> DataFrame:
-        names = [f"{t}.{c}" for t in tables for c, _ in T.columns_of(t)]
-        own = C.Collection("", self.columns, self.cells.where(F.col("column_id").isin(names)))
-        v = profile.column_values(own.cells)
-        return v.where(F.col("kind") == kind) if kind else v
+        return profile.column_values(C.base_cells(self.spark, self.sf_dir, tables, kind))
+
+    @property
+    def numbers(self) -> DataFrame:
+        return C.base_cells(self.spark, self.sf_dir, kind="num")
 
     @property
     def annotations(self) -> DataFrame:
@@ -96,9 +100,7 @@ def column_values_orders(b: Bench, tables=("orders",)) -> DataFrame:
 
 def collection_stats(b: Bench) -> DataFrame:
     built = C.build(b.spark, b.sf_dir, "OPS")
-    first = built.columns.where("ordinal = 0").select("column_id", "table_id")
-    rows = built.cells.join(first, "column_id").groupBy("table_id").agg(F.count("*").alias("n_rows"))
-    return metrics.collection_stats(built.columns, rows)
+    return metrics.collection_stats(built.columns, built.sizes)
 
 
 def distinct_counts(b: Bench) -> DataFrame:
@@ -122,15 +124,15 @@ def text_column_vectors(b: Bench, tables=RELATIONAL) -> DataFrame:
 
 
 def numeric_moments(b: Bench) -> DataFrame:
-    return metrics.rounded(profile.moments(b.cells))
+    return metrics.rounded(profile.moments(b.numbers))
 
 
 def numeric_zscore_bins(b: Bench) -> DataFrame:
-    return metrics.rounded(embed.zscore_bins(b.cells))
+    return metrics.rounded(embed.zscore_bins(b.numbers))
 
 
 def numeric_histogram_minmax(b: Bench) -> DataFrame:
-    return metrics.rounded(embed.zscore_bins(b.cells, minmax=True))
+    return metrics.rounded(embed.zscore_bins(b.numbers, minmax=True))
 
 
 def header_pairs_099(b: Bench) -> DataFrame:
@@ -139,7 +141,7 @@ def header_pairs_099(b: Bench) -> DataFrame:
 
 
 def numeric_pairs_090(b: Bench) -> DataFrame:
-    return _pairs(neighbors.exact(embed.histograms(b.cells).withColumnRenamed("column_id", "id"), 0.9))
+    return _pairs(neighbors.block(embed.histograms(b.numbers).withColumnRenamed("column_id", "id"), 0.9))
 
 
 def text_pairs_075(b: Bench, tables=RELATIONAL) -> DataFrame:
@@ -334,12 +336,50 @@ def stream_sessions(b: Bench) -> DataFrame:
     return got.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("started"), "n", F.round("total", 6).alias("total"))
 
 
+def stream_deduplicated(b: Bench) -> DataFrame:
+    """Events sent twice, counted once."""
+    got = _streamed(b, lambda e: live.deduplicated(e.union(e), "3650 days").select("event_type", "event_id"), "append")
+    return got.groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def drift_by_day(b: Bench) -> DataFrame:
+    """How like the whole column the values of each day are."""
+    events = T.table(b.spark, b.sf_dir, "events")
+    cells = events.where("value is not null").select(F.lit("value").alias("column_id"), F.lit("num").alias("kind"), F.col("value").cast("double").alias("num"))
+    m, vector = profile.moments(cells).first(), embed.histograms(cells).first()["vec"]
+    days = events.where("value is not null").select(F.date_trunc("day", "ts").alias("window"), F.col("value").cast("double").alias("value"))
+    got = live.histogram_drift(days, vector, m["mean"], m["deviation"])
+    return got.select(F.col("window").cast("timestamp_ntz").alias("w"), F.round("similarity", 6).alias("similarity"))
+
+
+def running_tokens(b: Bench) -> DataFrame:
+    return downstream.running_tokens(b.calls)
+
+
+def calls_by_role_cube(b: Bench) -> DataFrame:
+    return b.calls.cube("role", "phase").agg(F.count("*").alias("n_calls"))
+
+
+def table_rows_regions(b: Bench) -> DataFrame:
+    """Three rows of nation as prompts show them: the values of one row stand together."""
+    rows = C.base_rows(b.spark, b.sf_dir, ("nation",))
+    heads = context.table_rows(b.columns.where("table_id = 'nation'"), rows, 3).select("table_id", F.expr("inline(arrays_zip(heads[0].values, heads[1].values, heads[2].values))"))
+    return heads.toDF("table_id", "nk", "nn", "rk").select("table_id", F.col("nk").cast("long").alias("nk"), "nn", F.col("rk").cast("long").alias("rk"))
+
+
+def overlap_sketch(b: Bench) -> DataFrame:
+    """Overlaps of joinable columns from sketches alone."""
+    values = b.values(("orders", "lineitem", "customer"), None)
+    return metrics.rounded(neighbors.theta_overlap(values, neighbors.jaccard(values, 0.5)))
+
+
 CHECKED = (
     column_catalog, column_values_orders, collection_stats, distinct_counts, length_profile, header_ngram_vectors, text_column_vectors, numeric_moments, numeric_zscore_bins, numeric_histogram_minmax,
     header_pairs_099, numeric_pairs_090, text_pairs_075, embedding_pairs_030, jaccard_pairs, seed_clusters_given, stratified_sample_small_k, stratified_sample_large_k, stratified_sample_proportional,
     uniform_sample, frequency_sample, dense_rows, context_profile, index_extend, index_lookup, index_fallback, cluster_sharing, cluster_order, seed_propagation, parse_answers, candidates_name,
     candidates_value, candidates_index, type_aggregation, token_usage, calls_by_phase, cost_per_k, coverage, type_count, hit_rate, judged_precision, confusion, prf, prf_by_phase, representatives,
     redundancy, synthetic_truth, pair_agreement, pair_agreement_annotated, pair_similarity, overlap_filter, suspect_columns, stream_windows, stream_sessions,
+    stream_deduplicated, drift_by_day, running_tokens, calls_by_role_cube, table_rows_regions, overlap_sketch,
 )
 
 #: What the SQL holds over RELATIONAL or orders only, here over all tables, long texts and keys included; no SQL, see the tests.

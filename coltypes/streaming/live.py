@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -26,9 +26,9 @@ def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def late_counted(events: DataFrame, name: str = "late", late: str = "1 hour") -> DataFrame:
-    """The stream with counts of rows and of the time span, for a listener."""
-    return events.observe(name, F.count("*").alias("rows"), F.min("ts").alias("first"), F.max("ts").alias("last")).withWatermark("ts", late)
+def late_rows(query) -> int:
+    """How many rows of a running or ended query came after the watermark and were dropped."""
+    return sum(state.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for state in p["stateOperators"])
 
 
 def histogram_drift(batch: DataFrame, stored: list[float], mean: float, deviation: float) -> DataFrame:
@@ -74,6 +74,27 @@ def value_index(stream: DataFrame) -> DataFrame:
     return keyed.groupBy("value_hash").transformWithStateInPandas(value_types(), "value string, labels string", "Update", "None")
 
 
+def upsert(stream: DataFrame, keys: list[str], folder: str, checkpoint: str):
+    """Keep the last row of each key of an update stream as a table: every batch writes a new version, which ``latest`` reads.
+
+    A batch that runs again after a failure writes its own version again.
+    """
+    def each(batch: DataFrame, epoch: int) -> None:
+        spark = batch.sparkSession
+        rows = batch.withColumn("__epoch", F.lit(epoch))
+        if epoch:
+            before = spark.read.parquet(f"{folder}/v{epoch - 1}")
+            rows = before.join(batch.select(*keys).distinct(), keys, "left_anti").unionByName(rows)
+        rows.write.mode("overwrite").parquet(f"{folder}/v{epoch}")
+
+    return stream.writeStream.outputMode("update").foreachBatch(each).option("checkpointLocation", checkpoint).start()
+
+
+def latest(spark: SparkSession, folder: str, epoch: int) -> DataFrame:
+    """The version of an upserted table that a batch wrote."""
+    return spark.read.parquet(f"{folder}/v{epoch}").drop("__epoch")
+
+
 def annotate_batches(stream: DataFrame, index: DataFrame, sink: str, queue: str, checkpoint: str):
     """Start annotating cells (column_id, value) of new tables: known values get their types, other columns are queued for discovery."""
     def each(batch: DataFrame, epoch: int) -> None:
