@@ -81,7 +81,7 @@ def op9_multipart_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Contract columns, and the class of each document among fingerprints within the radius."""
-    compared = common.settled(simhash.compare_edited(documents(spark, sf_dir)))
+    compared, _ = common.stored(simhash.compare_edited(documents(spark, sf_dir)), "simhash-rows")
     prints = compared.select("doc_id", F.conv("fingerprint", 16, -10).cast("long").alias("fingerprint"))
     classes = simhash.near_classes(prints).where("doc_id is not null").groupBy("doc_id").agg(F.min("class_id").alias("class_id"))
     return compared.join(classes, "doc_id", "left")

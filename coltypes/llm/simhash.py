@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from coltypes.llm import common, wordhash
-from coltypes.llm.linkage import Tables, classes
+from coltypes.llm.linkage import Tables, classes, thinned
 
 BITS = 64
 
@@ -186,8 +186,9 @@ def near_classes(prints: DataFrame, settings: Settings = Settings()) -> DataFram
     rows, path = common.stored(prints.select("doc_id", "fingerprint"), "simhash-prints")
     owned = tables.keep(rows.where("doc_id is not null").groupBy(F.col("fingerprint").alias("key")).agg(F.min("doc_id").alias("least")), "keys")
     keyed = owned.select("key", F.explode(F.array(*block_keys(F.col("key"), settings))).alias("band"))
-    shared = keyed.groupBy("band").agg(F.min("key").alias("lo"), F.max("key").alias("hi")).where("lo < hi").select("band")
-    buckets = tables.keep(keyed.join(shared, "band"), "buckets")
+    shared = keyed.groupBy("band").agg(F.count("*").alias("c")).where("c > 1").select("band")
+    shared, total = tables.keep_with(shared, "shared", rows=F.lit(1))
+    buckets = tables.keep(thinned(keyed, "band", shared, total["rows"]).join(shared, "band", "left_semi"), "buckets")
 
     def unit_links(units: DataFrame) -> DataFrame:
         return tables.keep(units.groupBy("unit").applyInArrow(_unit(settings), "a long, b long").distinct(), "unit-near")
@@ -199,7 +200,7 @@ def near_classes(prints: DataFrame, settings: Settings = Settings()) -> DataFram
         joined = owned.join(part, "key", "left").withColumn("part", F.coalesce("part", "key"))
         roots = joined.select("key", "part").join(joined.groupBy("part").agg(F.min("least").alias("class_id")), "part").select("key", "class_id")
     out = rows.join(roots.withColumnRenamed("key", "fingerprint"), "fingerprint", "left").select("doc_id", "fingerprint", F.when(F.col("doc_id").isNotNull(), F.col("class_id")).alias("class_id"))
-    out = common.settled(out)
+    out = common.stored(out, "simhash-classes")[0]
     tables.drop(out)
     common.remove(spark, path)
     return out
