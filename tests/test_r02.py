@@ -44,6 +44,11 @@ def test_encoder_counts_grams_of_all_texts_at_once():
     assert e.tables and not e.__getstate__()["tables"]
 
 
+def test_appended_rows_of_a_stream_are_not_held_by_the_driver(spark, tiny):
+    got = QUERIES["stream_deduplicated"](spark, tiny)
+    assert got.inputFiles() and {r["event_type"]: r["n"] for r in got.collect()} == {r["event_type"]: r["count"] for r in spark.read.parquet(f"{tiny}/events.parquet").groupBy("event_type").count().collect()}
+
+
 def test_communities_without_pairs(spark):
     rng = np.random.default_rng(3)
     points = rng.standard_normal((400, 8))
