@@ -49,6 +49,24 @@ def test_appended_rows_of_a_stream_are_not_held_by_the_driver(spark, tiny):
     assert got.inputFiles() and {r["event_type"]: r["n"] for r in got.collect()} == {r["event_type"]: r["count"] for r in spark.read.parquet(f"{tiny}/events.parquet").groupBy("event_type").count().collect()}
 
 
+def test_example_reads_nation(spark, tiny):
+    own, read = E.example(spark), E.example(spark, tiny)
+    assert any(f.endswith("nation.parquet") for f in read.cells.inputFiles())
+    assert sorted(map(str, own.cells.collect())) == sorted(map(str, read.cells.collect())) and sorted(map(str, own.rows.collect())) == sorted(map(str, read.rows.collect()))
+
+
+def test_catalog_of_held_columns(spark, tiny, tmp_path):
+    assert {r[0] for r in C.held_columns(spark, tiny).select("column_id").collect()} == {r[0] for r in C.base_columns(spark).select("column_id").collect()}
+    for name in C.T.SCHEMAS:
+        df = spark.read.parquet(f"{tiny}/{name}.parquet").limit(5)
+        if name == "nation":
+            df = df.withColumn("n_name", F.lit(" ")).withColumn("n_regionkey", F.lit(None).cast("int"))
+        df.write.parquet(str(tmp_path / f"{name}.parquet"))
+    left = {r[0] for r in C.base_columns(spark).select("column_id").collect()} - {"nation.n_name", "nation.n_regionkey"}
+    assert {r[0] for r in C.held_columns(spark, str(tmp_path)).select("column_id").collect()} == left
+    assert QUERIES["calls_by_phase"](spark, str(tmp_path)).where("role is null").first()["n_calls"] == len(left)
+
+
 def test_communities_without_pairs(spark):
     rng = np.random.default_rng(3)
     points = rng.standard_normal((400, 8))
