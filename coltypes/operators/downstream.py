@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from coltypes.functions.encoders import Encoder, encode
 from coltypes.functions.exprs import cosine
-from coltypes.operators.valueindex import pairs_of_sets
+from coltypes.operators.valueindex import column_sets, pairs_of_sets
 
 
 def _sets(annotations: DataFrame) -> DataFrame:
@@ -53,23 +53,26 @@ def suspect_columns(annotations: DataFrame, expected: int = 1) -> DataFrame:
     return annotations.groupBy("column_id").agg(F.countDistinct("label").alias("n_types")).where(F.col("n_types") > expected)
 
 
-def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int | None = None) -> DataFrame:
+def truth_pairs(columns: DataFrame, values: DataFrame, task: str, most: int | None = None, sets: DataFrame | None = None) -> DataFrame:
     """(left_id, right_id, relation): column pairs of different tables with the same true type.
 
     join: the values meet, as they are (equi) or after normalisation (fuzzy). match: equi if the
     values meet, else union. All pairs; with ``most`` a sample, the first so many by a hash of the pair.
+    ``sets``: the column sets of the values if made before.
     """
     c = columns.select("column_id", "table_id", "truth")
     a, b = c.toDF("left_id", "lt", "truth"), c.toDF("right_id", "rt", "truth")
     same = a.join(b, "truth").where("left_id < right_id and lt <> rt").select("left_id", "right_id")
-    v = values.select("column_id", "value").distinct()
+    held = F.broadcast(same.select(F.explode(F.array("left_id", "right_id")).alias("column_id")).distinct())  # of the catalog
+    v = (values if sets is None else sets).select("column_id", "value").distinct().join(held, "column_id", "left_semi")
 
     def meet(x: DataFrame) -> DataFrame:
         return pairs_of_sets(x.join(c, "column_id"), "column_id", ["truth", "value"]).toDF("left_id", "right_id").join(same, ["left_id", "right_id"], "left_semi")
 
     equi = meet(v).withColumn("equi", F.lit(1))
     if task == "join":
-        fuzzy = meet(v.select("column_id", F.regexp_replace(F.lower("value"), "[^a-z0-9]", "").alias("value")).where("value <> ''").distinct())
+        plain = values.join(held, "column_id", "left_semi").select("column_id", F.regexp_replace(F.lower("value"), "[^a-z0-9]", "").alias("value")).where("value <> ''").distinct()
+        fuzzy = meet(column_sets(plain.select("column_id", F.lit("").alias("kind"), "value", F.length("value").alias("len"))).select("column_id", "value").distinct())
         rows = fuzzy.join(equi, ["left_id", "right_id"], "left").withColumn("relation", F.when(F.col("equi") == 1, "equi").otherwise("fuzzy"))
     else:
         rows = same.join(equi, ["left_id", "right_id"], "left").withColumn("relation", F.when(F.col("equi") == 1, "equi").otherwise("union"))
